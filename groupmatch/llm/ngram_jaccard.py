@@ -32,7 +32,7 @@ from pyspark.sql.types import BinaryType, IntegerType, LongType, StructField, St
 
 from .components import merge_labels
 from .durable import settle
-from .textops import LOWER, mix, utf8, windows, words_by_text
+from .textops import LOWER, distinct, mix, utf8, windows, words_by_text
 
 FLUSH = 1 << 20
 _MASK = np.uint64((1 << 48) - 1)
@@ -51,7 +51,7 @@ def ngram_set(hashes: np.ndarray, n: int) -> np.ndarray:
     grams = windows(hashes, n)
     if not len(grams):
         grams = mix(windows(hashes, len(hashes)) + np.uint64(len(hashes)))
-    return np.unique(grams)
+    return distinct(grams)
 
 
 def class_key(grams: np.ndarray) -> int:

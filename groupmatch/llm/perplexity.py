@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textops import _IS_BREAK, batches, mix, utf8, windows, words_by_text
+from .textops import _IS_BREAK, batches, distinct, mix, utf8, windows, words_by_text
 
 ORDER, BITS = 4, 6
 CLASSES = 1 << BITS
@@ -187,7 +187,7 @@ def repeated_words(hashes: np.ndarray) -> int:
     twice = s[1:][s[1:] == s[:-1]]
     if not len(twice):
         return 0
-    twice = np.unique(twice)
+    twice = distinct(twice)
     at = np.searchsorted(twice, w)
     hit = twice[np.minimum(at, len(twice) - 1)] == w
     cover = np.zeros(len(hashes) + 1, np.int64)
