@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import DoubleType
 
 from groupmatch.model.pattern import MembershipRule
 
@@ -31,7 +32,7 @@ def sigmoid(value: Column, middle: float, slope: float) -> Column:
 def custom(function):
     """A degree from a Python function of a pandas series; the only shape that leaves the JVM."""
 
-    @pandas_udf("double")
+    @pandas_udf(DoubleType())
     def degree(value: pd.Series) -> pd.Series:
         return function(value)
 

@@ -88,8 +88,9 @@ def _edge(p, no):
 
 def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt: MatchOptions, leaders: DataFrame | None = None, count: bool = False) -> tuple[dict[int, DataFrame], dict]:
     """The edge relations by number; with `cache` without, else with the column leader."""
-    edges = settle(g.scored_edges(), "edges")
-    every = settle(candidates.select_all(g, p), "candidates")
+    # Kept for several reads; lost blocks are computed again from the tables.
+    edges = g.scored_edges().persist()
+    every = candidates.select_all(g, p).persist()
     cand = {n.name: every.where(F.col("node") == n.name).select(F.col("v").alias("at")) for n in p.nodes}
     keys = [] if cache else ["leader"]
     first = cand[p.leader] if leaders is None else cand[p.leader].join(leaders.select(F.col("leader").alias("at")), "at", "left_semi")
@@ -118,7 +119,7 @@ def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt
             rel = paths.match_edge(starts, edges, e, cand[e.src], opt, "in")
         if count:
             work["requests"][e.no] = (s.kind, starts.count())
-        found[e.no] = settle(rel, "edge-relation")
+        found[e.no] = rel.persist()
     return found, work
 
 
@@ -128,7 +129,7 @@ def _with_leaders(p: GroupPattern, links: DataFrame, leaders: DataFrame) -> Data
     for e, forward in p.spanning_steps():
         rel = links.where(F.col("edge_no") == e.no)
         near, far, old, new = ("v", "w", e.src, e.dst) if forward else ("w", "v", e.dst, e.src)
-        at[new] = settle(at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct(), "reach")
+        at[new] = at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct().persist()
     out = []
     for e in p.edges:
         a = at[e.src].select("leader", F.col("x").alias("v"))

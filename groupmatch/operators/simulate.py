@@ -8,7 +8,6 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from groupmatch.durable import settle
 from groupmatch.model import GroupPattern, MatchOptions, SocialGraph
 
 from . import candidates, explore, locality, paths, prune
@@ -23,8 +22,8 @@ def _relations(g: SocialGraph, p: GroupPattern, mode: str) -> tuple[DataFrame, D
     if mode != "constrained":
         p = p.with_minimum(None)
     opt = MatchOptions(edge_mode=mode)
-    edges = settle(g.scored_edges(), "edges")
-    every = settle(candidates.select_all(g, p), "candidates")
+    edges = g.scored_edges().persist()
+    every = candidates.select_all(g, p).persist()
     cand = {n.name: every.where(F.col("node") == n.name).select(F.col("v").alias("at")) for n in p.nodes}
     rels = [paths.expand(cand[e.src], edges, e, cand[e.dst], opt).select(F.lit(e.no).alias("edge_no"), "v", "w").distinct() for e in p.edges]
     return every, reduce(DataFrame.unionByName, rels)

@@ -167,7 +167,9 @@ def evidence(spark: SparkSession, sf_dir: str) -> SocialGraph:
     words = lambda c: F.regexp_extract_all(F.lower(c), F.lit("[^ \\t\\n\\r]+"), F.lit(0))
     grams = lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 7, F.lit(1))), lambda i: F.array_join(F.slice(w, i, 8), " "))
     keys = b.select((F.lit(10**13) + F.col("item_id")).alias("dst"), F.array_join(F.slice(words(F.col("text")), 1, 8), " ").alias("gram"))
-    held = d.select(F.col("doc_id").alias("src"), F.explode(F.array_distinct(grams(words(F.col("text"))))).alias("gram")).join(keys, "gram").select("src", "dst").distinct()
+    # The words are generated once per row; inlined into the lambda they would be split for every n-gram.
+    split = d.select(F.col("doc_id").alias("src"), F.explode(F.array(words(F.col("text")))).alias("ws"))
+    held = split.select("src", F.explode(F.array_distinct(grams(F.col("ws")))).alias("gram")).join(keys, "gram").select("src", "dst").distinct()
     after = Window.partitionBy("source").orderBy("doc_id")
     next_ = d.select(F.col("doc_id").alias("src"), F.lead("doc_id").over(after).alias("dst")).where("dst IS NOT NULL")
     v = d.join(lab, "doc_id", "left").select(F.col("doc_id").alias("id"), F.array("lang", "source").alias("labels"), F.col("quality").cast("double").alias("influence"))
