@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textops import PIECE, _tables, batches, mix, utf8
+from .textops import PIECE, _tables, batches, mix, take_spans, utf8
 
 _LETTER, _NUMBER, _BLANK, _REST = 0, 1, 2, 3
 _kinds: list[np.ndarray] = []
@@ -103,13 +103,6 @@ def span_hashes(buffer: bytes, begin: np.ndarray, length: np.ndarray) -> np.ndar
     return mix((sums[begin + length] - sums[begin]) * down[begin] + mix(length.astype(np.uint64)))
 
 
-def take_spans(raw: np.ndarray, begin: np.ndarray, length: np.ndarray) -> np.ndarray:
-    """The spans' values, one after another."""
-    total = int(length.sum())
-    shift = np.repeat(begin - np.concatenate(([0], np.cumsum(length)))[:-1], length)
-    return raw[np.arange(total) + shift]
-
-
 class Vocabulary:
     """Ids of bytes, ranks of merges and bytes of ids, from a tokenizer file's contents."""
 

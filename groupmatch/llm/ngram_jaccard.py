@@ -11,13 +11,12 @@ No step lists the pairs within a group of copies:
 2.  Pass one counts, per fragment and then in sum, how many n-grams of a class occur in any
     other class. A class whose sum is under the threshold's share of its own size can't link
     with anything and leaves; segments keep shared n-grams only.
-3.  Rounds: classes bear a label (at first their own). A fragment counts, for each class, the
-    n-grams also held under another label, and votes for the best-placed such holder. Classes
-    whose sum no longer reaches the threshold are finished. The others are compared with the
-    holder that has most votes (exact intersection), and verified links merge labels.
-    Work per round is linear in the segments.
-4.  What a round without any merge leaves is compared by prefix filtering across labels, so
-    that no link between different labels can be lost.
+3.  In each fragment the n-grams of a class vote for their best-placed holder; the class is
+    compared with the holder that gets most votes (partial overlaps, summed), and links join
+    labels. This linear step unites most copies with the text they come from.
+4.  Classes that could still link under another label are found by counting as in pass two,
+    under labels. Those that share a prefix n-gram meet in squares of bounded size, where
+    overlaps come from matrix products and only links that join labels leave the task.
 
 Links that are skipped join classes already under one label, so components are exact.
 """
@@ -32,7 +31,7 @@ from pyspark.sql.types import BinaryType, IntegerType, LongType, StructField, St
 
 from .components import merge_labels
 from .durable import settle
-from .textops import LOWER, distinct, mix, utf8, windows, words_by_text
+from .textops import LOWER, distinct, mix, take_spans, utf8, windows, words_by_text
 
 FLUSH = 1 << 20
 _MASK = np.uint64((1 << 48) - 1)
@@ -75,19 +74,21 @@ def _fragment_of(grams: np.ndarray, parts: int) -> np.ndarray:
 
 
 def _packed(keys, lengths, grams, parts):
-    """Rows (part, keys, counts, hashes) of many documents' sets, dealt out by fragment."""
+    """Rows (part, keys, counts, hashes) of many documents' sets, dealt out by fragment; counts are
+    pairs of the segment's and the whole set's size."""
     owner = np.repeat(np.arange(len(keys), dtype=np.int32), lengths)
     part = _fragment_of(grams, parts)
     order = np.argsort(part, kind="stable")
     part, owner, low = part[order], owner[order], (grams & _MASK)[order]
     edges = np.searchsorted(part, np.arange(parts + 1))
+    whole = np.asarray(lengths, np.int64)
     for p in range(parts):
         a, b = edges[p], edges[p + 1]
         if a == b:
             continue
         own = owner[a:b]
         first = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1])))
-        counts = np.diff(np.append(first, len(own))).astype("<i4")
+        counts = np.stack((np.diff(np.append(first, len(own))), whole[own[first]]), 1).astype("<i4")
         yield int(p), keys[own[first]].astype("<i8").tobytes(), counts.tobytes(), _six(low[a:b])
 
 
@@ -130,24 +131,23 @@ def _arrow(rows, schema: StructType):
 
 
 class _Gathered:
-    """All segments of one fragment, each class once."""
+    """All segments of one fragment, each class once. `width`: numbers carried along with each key."""
 
-    def __init__(self):
-        self.keys, self.counts, self.hashes, self.more = [], [], [], []
+    def __init__(self, width: int = 0):
+        self.keys, self.counts, self.hashes, self.more, self.width = [], [], [], [], width
 
-    def add(self, keys: bytes, counts: bytes, hashes: bytes, more: bytes | None = None):
+    def add(self, keys: bytes, counts: bytes, hashes: bytes, more: bytes = b""):
         self.keys.append(np.frombuffer(keys, "<i8"))
-        self.counts.append(np.frombuffer(counts, "<i4"))
+        self.counts.append(np.frombuffer(counts, "<i4").reshape(-1, 2))
         self.hashes.append(_eight(hashes))
-        if more is not None:
-            self.more.append(np.frombuffer(more, "<i8"))
+        self.more.append(np.frombuffer(more, "<i8").reshape(-1, max(self.width, 1)))
 
     def sorted(self):
-        """(keys, extra per key, owner of each entry, entry hash), entries by hash."""
+        """(keys, whole sizes, numbers of each key, owner of each entry, entry hash), entries by hash."""
         keys, counts, hashes = np.concatenate(self.keys), np.concatenate(self.counts), np.concatenate(self.hashes)
-        more = np.concatenate(self.more).reshape(-1, 2) if self.more else None
-        self.__init__()
-        owner = np.repeat(np.arange(len(keys), dtype=np.int32), counts)
+        more = np.concatenate(self.more)
+        self.__init__(self.width)
+        owner = np.repeat(np.arange(len(keys), dtype=np.int32), counts[:, 0])
         uniq, first = np.unique(keys, return_index=True)
         if len(uniq) < len(keys):
             keep = np.zeros(len(keys), bool)
@@ -155,7 +155,7 @@ class _Gathered:
             mask = keep[owner]
             owner, hashes = owner[mask], hashes[mask]
         order = np.argsort(hashes)
-        return keys, more, owner[order], hashes[order]
+        return keys, counts[:, 1], more, owner[order], hashes[order]
 
 
 def _runs(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -163,141 +163,217 @@ def _runs(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return first, np.diff(np.append(first, len(hashes)))
 
 
-_SHARED = StructType([StructField("bucket", IntegerType()), StructField("doc_id", LongType()), StructField("n", LongType()), StructField("key", LongType()), StructField("part", IntegerType())] + [StructField(c, BinaryType()) for c in ("keys", "counts", "hashes")])
+_BLOBS = [StructField(c, BinaryType()) for c in ("keys", "counts", "hashes", "levels")]
+_SHARED = StructType([StructField("bucket", IntegerType()), StructField("doc_id", LongType()), StructField("n", LongType()), StructField("key", LongType()), StructField("part", IntegerType()), *_BLOBS])
 
 
 def _bucket(keys: np.ndarray, parts: int) -> np.ndarray:
     return (mix(keys.view(np.uint64)) % np.uint64(parts)).astype(np.int32)
 
 
+def _by_bucket(parts, part, keys, sizes, owner, hashes, levels):
+    """Packed rows of a fragment's remaining entries for the tasks that gather whole classes."""
+    order = np.lexsort((owner, _bucket(keys, parts)[owner]))
+    owner, hashes, levels = owner[order], hashes[order], levels[order]
+    bucket = _bucket(keys, parts)[owner]
+    edges = np.searchsorted(bucket, np.arange(parts + 1))
+    for q in range(parts):
+        a, b = edges[q], edges[q + 1]
+        if a < b:
+            start, count = _runs(owner[a:b])
+            who = owner[a:b][start]
+            yield q, None, None, None, part, keys[who].astype("<i8").tobytes(), np.stack((count, sizes[who]), 1).astype("<i4").tobytes(), _six(hashes[a:b]), levels[a:b].tobytes()
+
+
 def _shared_rows(parts: int):
     """Pass one in one fragment: the segments' n-grams that two classes or more hold."""
 
     def run(it):
         held, part = _Gathered(), None
         for batch in it:
-            b = batch.to_pydict()
             rows = []
-            for p, d, n, k, keys, counts, hashes in zip(*b.values()):
+            for p, d, n, k, keys, counts, hashes in zip(*batch.to_pydict().values()):
                 if keys is None:
-                    rows.append((None, d, n, k, None, None, None, None))
+                    rows.append((None, d, n, k, None, None, None, None, None))
                 else:
                     part = p
                     held.add(keys, counts, hashes)
             yield from _arrow(rows, _SHARED)
         if part is None:
             return
-        keys, _, owner, hashes = held.sorted()
-        first, length = _runs(hashes)
+        keys, sizes, _, owner, hashes = held.sorted()
+        _, length = _runs(hashes)
         both = np.repeat(length > 1, length)
-        owner, hashes = owner[both], hashes[both]
-        order = np.lexsort((owner, _bucket(keys, parts)[owner]))
-        owner, hashes = owner[order], hashes[order]
-        bucket = _bucket(keys, parts)[owner]
-        edges = np.searchsorted(bucket, np.arange(parts + 1))
-        rows = []
-        for q in range(parts):
-            a, b = edges[q], edges[q + 1]
-            if a < b:
-                start, count = _runs(owner[a:b])
-                rows.append((q, None, None, None, part, keys[owner[a:b][start]].astype("<i8").tobytes(), count.astype("<i4").tobytes(), _six(hashes[a:b])))
-        yield from _arrow(rows, _SHARED)
+        yield from _arrow(list(_by_bucket(parts, part, keys, sizes, owner[both], hashes[both], np.zeros(int(both.sum()), np.uint8))), _SHARED)
 
     return run
 
 
-def _collected_rows(parts: int):
-    """Per class: how many n-grams are shared, and which, as whole 64-bit values."""
+def _outside_rows(parts: int):
+    """The same under labels: n-grams that some other label holds too, with the log of their holders."""
 
     def run(it):
-        keys, counts, hashes = [], [], []
+        held, part = _Gathered(1), None
         for batch in it:
-            for p, k, c, h in zip(*(batch.column(x).to_pylist() for x in ("part", "keys", "counts", "hashes"))):
-                k, c, h = np.frombuffer(k, "<i8"), np.frombuffer(c, "<i4"), _eight(h)
-                keys.append(k)
-                counts.append(c)
-                hashes.append(h | (np.uint64(p) << np.uint64(48)))
-        if not keys:
+            for p, k, c, h, m in zip(*(batch.column(x).to_pylist() for x in ("part", "keys", "counts", "hashes", "more"))):
+                part = p
+                held.add(k, c, h, m)
+        if part is None:
+            return
+        keys, sizes, more, owner, hashes = held.sorted()
+        label = more[:, 0]
+        first, length = _runs(hashes)
+        several = np.minimum.reduceat(label[owner], first) != np.maximum.reduceat(label[owner], first)
+        level = np.minimum(np.log2(length), 60).astype(np.uint8)
+        keep = np.repeat(several, length)
+        yield from _arrow(list(_by_bucket(parts, part, keys, sizes, owner[keep], hashes[keep], np.repeat(level, length)[keep])), _SHARED)
+
+    return run
+
+
+def _collect(it):
+    """(key, size, grams, levels) of each class, gathered over the fragments; grams carry the fragment."""
+    keys, counts, hashes, levels = [], [], [], []
+    for batch in it:
+        for p, k, c, h, v in zip(*(batch.column(x).to_pylist() for x in ("part", "keys", "counts", "hashes", "levels"))):
+            keys.append(np.frombuffer(k, "<i8"))
+            counts.append(np.frombuffer(c, "<i4").reshape(-1, 2))
+            hashes.append(_eight(h) | (np.uint64(p) << np.uint64(48)))
+            levels.append(np.frombuffer(v, np.uint8))
+    if not keys:
+        return None
+    keys, counts, hashes, levels = (np.concatenate(x) for x in (keys, counts, hashes, levels))
+    owner, size = np.repeat(keys, counts[:, 0]), np.repeat(counts[:, 1], counts[:, 0])
+    order = np.argsort(owner, kind="stable")
+    owner, size, hashes, levels = owner[order], size[order], hashes[order], levels[order]
+    start, count = _runs(owner)
+    return owner[start], size[start].astype(np.int64), start, count, hashes, levels
+
+
+def _lists(values: np.ndarray, start: np.ndarray, count: np.ndarray) -> pa.Array:
+    if not len(start):
+        return pa.array([], pa.list_(pa.int64()))
+    edges = np.concatenate(([0], np.cumsum(count)))
+    return pa.ListArray.from_arrays(pa.array(edges, pa.int32()), pa.array(take_spans(values, start, count)))
+
+
+def _set_rows(percent: int):
+    """Classes whose shared n-grams reach the threshold, with those n-grams."""
+
+    def run(it):
+        got = _collect(it)
+        if got is None:
+            return
+        key, size, start, count, hashes, _ = got
+        fine = np.flatnonzero(count * 100 >= size * percent)
+        for a in range(0, len(fine), 1000):
+            f = fine[a : a + 1000]
+            yield pa.RecordBatch.from_arrays([pa.array(key[f]), pa.array(size[f]), pa.array(count[f], pa.int64()), _lists(hashes.view(np.int64), start[f], count[f])], names=["key", "n", "n_shared", "grams"])
+
+    return run
+
+
+def _prefix_rows(percent: int):
+    """(key, gram): of each class that still reaches the threshold under other labels, the prefix, in
+    the order of rarity and hash, of which any similar class under another label holds a part."""
+
+    def run(it):
+        got = _collect(it)
+        if got is None:
             return
-        keys, counts, hashes = np.concatenate(keys), np.concatenate(counts), np.concatenate(hashes)
-        owner = np.repeat(keys, counts)
-        order = np.argsort(owner, kind="stable")
-        owner, hashes = owner[order], hashes[order].view(np.int64)
-        start, count = _runs(owner)
-        for a in range(0, len(start), 1000):
-            s, c = start[a : a + 1000], count[a : a + 1000]
-            values = hashes[s[0] : s[-1] + c[-1]]
-            grams = pa.ListArray.from_arrays(pa.array(np.append(s, s[-1] + c[-1]) - s[0], pa.int32()), pa.array(values))
-            yield pa.RecordBatch.from_arrays([pa.array(owner[s]), pa.array(c, pa.int64()), grams], names=["key", "n_shared", "grams"])
+        key, size, start, count, hashes, levels = got
+        keys, grams = [], []
+        for k, n, s, c in zip(key, size, start, count):
+            length = int(c) + int(-n * percent // 100) + 1  # outside - ceil(share of the size) + 1
+            if length > 0:
+                h, v = hashes[s : s + c], levels[s : s + c]
+                grams.append(h[np.lexsort((h, v))[:length]])
+                keys.append(np.full(len(grams[-1]), k))
+        if keys:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(grams).view(np.int64))], names=["key", "gram"])
 
     return run
 
 
 def _vote_rows():
-    """A round in one fragment: n-grams held under other labels, and the best such holder.
+    """In one fragment: for each class, how many n-grams others hold, and whose they are first.
 
-    `more` carries label and rank of each key; lower ranks are better placed."""
+    `more` carries the rank; of an n-gram's holders the best placed gets the votes of the others."""
 
     def run(it):
-        held, any_row = _Gathered(), False
+        held, any_row = _Gathered(1), False
         for batch in it:
             for k, c, h, m in zip(*(batch.column(x).to_pylist() for x in ("keys", "counts", "hashes", "more"))):
                 held.add(k, c, h, m)
                 any_row = True
         if not any_row:
             return
-        keys, more, owner, hashes = held.sorted()
-        label, rank = more[:, 0], more[:, 1]
-        order = np.lexsort((keys[owner], rank[owner], hashes))
+        keys, _, more, owner, hashes = held.sorted()
+        order = np.lexsort((keys[owner], more[owner, 0], hashes))
         owner, hashes = owner[order], hashes[order]
         first, length = _runs(hashes)
         best = np.repeat(owner[first], length)
-        other = label[owner] != label[best]
-        place = np.where(other, np.arange(len(owner)), len(owner))
-        second = np.minimum.reduceat(place, first)
-        several = np.repeat(second < len(owner), length)
-        second = np.repeat(owner[np.minimum(second, len(owner) - 1)], length)
-        choice = np.where(other, best, second)[several]
-        codes, votes = np.unique(owner[several].astype(np.int64) * len(keys) + choice, return_counts=True)
+        other = owner != best
+        codes, votes = np.unique(owner[other].astype(np.int64) * len(keys) + best[other], return_counts=True)
         yield pa.RecordBatch.from_arrays([pa.array(keys[codes // len(keys)]), pa.array(keys[codes % len(keys)]), pa.array(votes, pa.int64())], names=["key", "holder", "votes"])
 
     return run
 
 
-def _round_segments(parts: int):
-    """Reduced sets (key, label, rank, grams) dealt out by fragment again."""
+def _overlap_rows():
+    """In one fragment: n-grams that each class has in common with the class it names in `more`."""
 
     def run(it):
+        held, any_row = _Gathered(1), False
         for batch in it:
-            sets = batch.column(3)
-            for a in range(0, len(sets), 2000):
-                lists = sets.slice(a, 2000)
-                grams = np.asarray(lists.flatten()).view(np.uint64)
-                lengths = np.asarray(lists.value_lengths())
-                keys, label, rank = (np.asarray(batch.column(i).slice(a, 2000)) for i in range(3))
-                more = np.stack([label, rank], 1)
-                rows = []
+            for k, c, h, m in zip(*(batch.column(x).to_pylist() for x in ("keys", "counts", "hashes", "more"))):
+                held.add(k, c, h, m)
+                any_row = True
+        if not any_row:
+            return
+        keys, _, more, owner, hashes = held.sorted()
+        place = {k: i for i, k in enumerate(keys.tolist())}
+        partner = np.array([place.get(x, -1) for x in more[:, 0].tolist()])
+        _, length = _runs(hashes)
+        run_no = np.repeat(np.arange(len(length)), length)
+        present = np.sort(run_no * len(keys) + owner)
+        wants = partner[owner] >= 0
+        asked = run_no[wants] * len(keys) + partner[owner[wants]]
+        at = np.minimum(np.searchsorted(present, asked), len(present) - 1)
+        n = np.bincount(owner[wants][present[at] == asked], minlength=len(keys))
+        some = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(keys[some]), pa.array(n[some].astype(np.int64))], names=["key", "common"])
+
+    return run
+
+
+def _dealt(sets: DataFrame, number: Column, parts: int) -> DataFrame:
+    """Sets (key, n, grams) with a number each, cut into the fragments again."""
+
+    def run(it):
+        for batch in it:
+            for a in range(0, batch.num_rows, 2000):
+                some = batch.slice(a, 2000)
+                keys, n, more = (np.asarray(some.column(i)) for i in range(3))
+                lists = some.column(3)
+                grams, lengths = np.asarray(lists.flatten()).view(np.uint64), np.asarray(lists.value_lengths())
                 owner = np.repeat(np.arange(len(keys)), lengths)
                 fragment = (grams >> np.uint64(48)).astype(np.int32)
-                order = np.lexsort((owner, fragment))
+                order = np.argsort(fragment, kind="stable")
                 fragment, owner, low = fragment[order], owner[order], (grams & _MASK)[order]
                 edges = np.searchsorted(fragment, np.arange(parts + 1))
+                rows = []
                 for p in range(parts):
                     x, y = edges[p], edges[p + 1]
                     if x < y:
                         start, count = _runs(owner[x:y])
                         who = owner[x:y][start]
-                        rows.append((p, keys[who].astype("<i8").tobytes(), count.astype("<i4").tobytes(), _six(low[x:y]), more[who].astype("<i8").tobytes()))
+                        rows.append((p, keys[who].astype("<i8").tobytes(), np.stack((count, n[who]), 1).astype("<i4").tobytes(), _six(low[x:y]), more[who].astype("<i8").tobytes()))
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()))], names=["part", "keys", "counts", "hashes", "more"])
 
-    return run
-
-
-def _alike(a: str, b: str, percent: int) -> Column:
-    """Exact test of two rows' sets; only shared n-grams can be in an intersection."""
-    both = F.size(F.array_intersect(F.col(f"{a}.grams"), F.col(f"{b}.grams"))).cast("long")
-    return (F.lit(100) * both) >= F.lit(percent) * (F.col(f"{a}.n") + F.col(f"{b}.n") - both)
+    given = sets.select("key", "n", number.cast("long").alias("more"), "grams")
+    return given.mapInArrow(run, "part int, keys binary, counts binary, hashes binary, more binary").repartitionById(parts, F.col("part"))
 
 
 def sets_and_classes(docs: DataFrame, n: int, percent: int, parts: int):
@@ -305,59 +381,117 @@ def sets_and_classes(docs: DataFrame, n: int, percent: int, parts: int):
     segments = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_segment_rows(n, parts), _SEGMENTS)
     one = settle(segments.repartitionById(parts, F.col("part")).mapInArrow(_shared_rows(parts), _SHARED), "jaccard-shared")
     members = one.where("keys IS NULL").select("doc_id", "n", "key")
-    shared = one.where("keys IS NOT NULL").select("bucket", "part", "keys", "counts", "hashes")
-    sets = shared.repartitionById(parts, F.col("bucket")).mapInArrow(_collected_rows(parts), "key long, n_shared long, grams array<long>")
-    sizes = members.where("key IS NOT NULL").groupBy("key").agg(F.max("n").alias("n"))
-    likely = sets.join(sizes, "key").where(F.col("n_shared") * 100 >= F.col("n") * percent)
-    return members, settle(likely.select("key", "n", "n_shared", "grams"), "jaccard-sets")
+    shared = one.where("keys IS NOT NULL").select("bucket", "part", *(f.name for f in _BLOBS))
+    sets = shared.repartitionById(parts, F.col("bucket")).mapInArrow(_set_rows(percent), "key long, n long, n_shared long, grams array<long>")
+    return members, settle(sets, "jaccard-sets")
 
 
-def link_labels(sets: DataFrame, percent: int, parts: int, max_rounds: int = 4) -> DataFrame:
+def link_labels(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     """(key, label): classes joined by a chain of links have one label."""
-    labels = sets.select("key", F.col("key").alias("label"))
-    live = sets
     # Best placed: a large share of common n-grams, as the text that others were copied from has.
-    rank = (F.lit(10**6) - (F.col("n_shared") * 10**6 / F.col("n")).cast("long")).alias("rank")
-    for step in range(max_rounds + 1):
-        state = live.join(labels, "key")
-        dealt = state.select("key", "label", rank, "grams").mapInArrow(_round_segments(parts), "part int, keys binary, counts binary, hashes binary, more binary")
-        votes = dealt.repartitionById(parts, F.col("part")).mapInArrow(_vote_rows(), "key long, holder long, votes long")
-        tally = votes.groupBy("key", "holder").agg(F.sum("votes").alias("votes"))
-        tally = tally.groupBy("key").agg(F.sum("votes").alias("outside"), F.max_by("holder", F.struct("votes", "holder")).alias("holder"))
-        tally = tally.join(live.select("key", "n"), "key").where(F.col("outside") * 100 >= F.col("n") * percent)
-        tally = settle(tally.select("key", "holder"), "jaccard-votes")
-        if tally.isEmpty():
-            return labels
-        live = settle(live.join(tally.select("key"), "key", "left_semi"), "jaccard-live")
-        if step == max_rounds:
-            break
-        a = live.join(tally, "key").alias("a")
-        links = a.join(sets.alias("b"), F.col("a.holder") == F.col("b.key")).where(_alike("a", "b", percent))
-        links = settle(links.select(F.col("a.key").alias("x"), F.col("b.key").alias("y")), "jaccard-links")
-        if links.isEmpty():
-            break
-        labels = merge_labels(labels, links)
-    return merge_labels(labels, settle(_rest(live, labels, percent), "jaccard-links"))
-
-
-def _rest(live: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
-    """Links across labels among what the rounds left, by prefix filtering on rare n-grams first."""
-    state = live.join(labels, "key")
-    entries = state.select("key", "label", "n", F.explode("grams").alias("gram"))
-    spread = entries.groupBy("gram").agg(F.count("*").alias("df"), F.min("label").alias("lo"), F.max("label").alias("hi"))
-    spread = spread.select("gram", F.when(F.col("lo") == F.col("hi"), 0).otherwise(F.col("df")).alias("df"))
-    ordered = entries.join(spread, "gram").groupBy("key", "label", "n").agg(F.array_sort(F.collect_list(F.struct("df", "gram"))).alias("grams"))
-    # n-grams held by nobody else are missing from the set; they would stand first.
-    absent = F.col("n") - F.size("grams")
-    prefix = F.col("n") - F.ceil(F.col("n") * percent / 100).cast("long") + 1 - absent
-    keyed = ordered.where(prefix > 0).select("key", "label", "n", F.explode(F.slice("grams", F.lit(1), prefix.cast("int"))).alias("g")).where("g.df > 0")
-    keyed = keyed.select("key", "label", "n", F.col("g.gram").alias("gram"))
-    a, b = keyed.alias("a"), keyed.alias("b")
-    near = (F.col("a.n") * 100 >= F.col("b.n") * percent) & (F.col("b.n") * 100 >= F.col("a.n") * percent)
-    pairs = a.join(b, (F.col("a.gram") == F.col("b.gram")) & (F.col("a.label") < F.col("b.label")) & near)
-    pairs = pairs.select(F.col("a.key").alias("x"), F.col("b.key").alias("y")).distinct()
-    found = pairs.join(live.alias("p"), F.col("x") == F.col("p.key")).join(live.alias("q"), F.col("y") == F.col("q.key"))
-    return found.where(_alike("p", "q", percent)).select("x", "y")
+    rank = F.lit(10**6) - (F.col("n_shared") * 10**6 / F.col("n")).cast("long")
+    votes = _dealt(sets, rank, parts).mapInArrow(_vote_rows(), "key long, holder long, votes long")
+    tally = votes.groupBy("key", "holder").agg(F.sum("votes").alias("votes"))
+    tally = settle(tally.groupBy("key").agg(F.max_by("holder", F.struct("votes", "holder")).alias("holder")), "jaccard-votes")
+    named = settle(sets.join(tally, "key", "left").select("key", "n", "grams", F.coalesce("holder", F.lit(0)).alias("holder")), "jaccard-named")
+    common = _dealt(named, F.col("holder"), parts).mapInArrow(_overlap_rows(), "key long, common long").groupBy("key").agg(F.sum("common").alias("common"))
+    size = named.select(F.col("key").alias("y"), F.col("n").alias("m"))
+    pairs = common.join(named.select("key", "n", "holder"), "key").join(size, F.col("holder") == F.col("y"))
+    links = pairs.where(F.col("common") * 100 >= (F.col("n") + F.col("m") - F.col("common")) * percent).select(F.col("key").alias("x"), "y")
+    labels = merge_labels(sets.select("key", F.col("key").alias("label")), settle(links, "jaccard-links"))
+    labelled = settle(sets.join(labels, "key").select("key", "n", "grams", "label"), "jaccard-labelled")
+    rest = _rest(labelled, percent, parts)
+    return merge_labels(labels, settle(rest, "jaccard-links"))
+
+
+SIDE = 1024
+
+
+def _rest(sets: DataFrame, percent: int, parts: int) -> DataFrame:
+    """All further links across labels, as a spanning part of them (x, y).
+
+    Similar classes under different labels share a prefix n-gram, so they are in one component of the
+    classes by prefix n-grams. Components are cut into squares of SIDE by SIDE classes; a task compares
+    its square by products of incidence matrices and returns links that join more labels only."""
+    outside = _dealt(sets, F.col("label"), parts).mapInArrow(_outside_rows(parts), _SHARED).select("bucket", "part", *(f.name for f in _BLOBS))
+    prefixes = settle(outside.repartitionById(parts, F.col("bucket")).mapInArrow(_prefix_rows(percent), "key long, gram long"), "jaccard-prefixes")
+    heads = prefixes.groupBy("gram").agg(F.min("key").alias("y"))
+    edges = prefixes.join(heads, "gram").where("key <> y").select(F.col("key").alias("x"), "y").distinct()
+    edges = settle(edges, "jaccard-edges")
+    if edges.isEmpty():
+        return edges
+    own = prefixes.select("key", F.col("key").alias("label")).distinct()
+    groups = merge_labels(own, edges).select("key", F.col("label").alias("area"))
+    areas = groups.groupBy("area").agg(F.count("*").alias("members")).where("members > 1")
+    areas = areas.select("area", F.ceil(F.col("members") / SIDE).cast("int").alias("sides"))
+    rows = sets.join(groups.join(areas, "area"), "key").withColumn("side", F.pmod(F.xxhash64("key"), F.col("sides")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("sides") - 1)))
+    square = F.struct(F.least("side", "other").alias("a"), F.greatest("side", "other").alias("b"))
+    small = F.col("sides") == 1
+    rows = rows.select("key", "label", "n", "grams", "area", "side", F.when(small, F.pmod(F.xxhash64("area"), F.lit(parts))).otherwise(F.col("area")).alias("bin"), square.alias("square"), small.alias("small"))
+    return rows.groupBy("bin", "small", "square").applyInArrow(_squares(percent), "x long, y long")
+
+
+def _squares(percent: int):
+    def run(table: pa.Table) -> pa.Table:
+        keys, label, n, area, side = (table[c].to_numpy() for c in ("key", "label", "n", "area", "side"))
+        lists = table["grams"].combine_chunks()
+        grams, lengths = np.asarray(lists.flatten()), np.asarray(lists.value_lengths())
+        starts = np.concatenate(([0], np.cumsum(lengths)))[:-1]
+        xs, ys = [], []
+        order = np.argsort(area, kind="stable")
+        first, count = _runs(area[order])
+        for f, c in zip(first, count):
+            mine = order[f : f + c]
+            low = side[mine].min()
+            left, right = mine[side[mine] == low], mine[side[mine] != low]
+            for i, j in _linked(left, right if len(right) else left, keys, label, n, grams, starts, lengths, percent):
+                xs.append(keys[i])
+                ys.append(keys[j])
+        return pa.table({"x": pa.array(xs, pa.int64()), "y": pa.array(ys, pa.int64())})
+
+    return run
+
+
+def _linked(left, right, keys, label, n, grams, starts, lengths, percent, chunk: int = 2048):
+    """Pairs (row of left, row of right) that link labels not yet joined in this square."""
+    if len(np.unique(label[np.concatenate((left, right))])) < 2:
+        return
+    sides = []
+    for rows in (left, right):
+        sides.append((take_spans(grams, starts[rows], lengths[rows]), np.repeat(np.arange(len(rows)), lengths[rows])))
+    vocabulary = np.intersect1d(sides[0][0], sides[1][0])
+    common = np.zeros((len(left), len(right)), np.float32)
+    coded = []
+    for values, owner in sides:
+        at = np.minimum(np.searchsorted(vocabulary, values), max(len(vocabulary) - 1, 0))
+        ok = vocabulary[at] == values if len(vocabulary) else np.zeros(len(values), bool)
+        order = np.argsort(at[ok], kind="stable")
+        coded.append((at[ok][order], owner[ok][order]))
+    for a in range(0, len(vocabulary), chunk):
+        parts = []
+        for (at, owner), rows in zip(coded, (left, right)):
+            x, y = np.searchsorted(at, (a, a + chunk))
+            m = np.zeros((len(rows), min(chunk, len(vocabulary) - a)), np.float32)
+            m[owner[x:y], at[x:y] - a] = 1
+            parts.append(m)
+        common += parts[0] @ parts[1].T
+    both = np.rint(common).astype(np.int64)
+    fits = both * 100 >= (n[left][:, None] + n[right][None, :] - both) * percent
+    fits &= label[left][:, None] != label[right][None, :]
+    root = {x: x for x in np.unique(label[np.concatenate((left, right))]).tolist()}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    for i, j in zip(*np.nonzero(fits)):
+        p, q = find(int(label[left[i]])), find(int(label[right[j]]))
+        if p != q:
+            root[max(p, q)] = min(p, q)
+            yield left[i], right[j]
 
 
 def jaccard_components(docs: DataFrame, n: int = 4, percent: int = 85, parts: int | None = None) -> DataFrame:
