@@ -295,7 +295,44 @@ def _prefix_rows(percent: int):
     return run
 
 
-def _vote_rows():
+def _count_batches(parts, keys, others, counts):
+    """Packed (bucket, keys, others, counts): a fragment's sums, one row for each gathering task."""
+    bucket = _bucket(keys, parts)
+    order = np.argsort(bucket, kind="stable")
+    keys, others, counts = keys[order], others[order], counts[order]
+    edges = np.searchsorted(bucket[order], np.arange(parts + 1))
+    rows = [(q, *(x[edges[q] : edges[q + 1]].astype("<i8").tobytes() for x in (keys, others, counts))) for q in range(parts) if edges[q] < edges[q + 1]]
+    if rows:
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary(), pa.binary()))], names=["bucket", "keys", "others", "counts"])
+
+
+_COUNTS = "bucket int, keys binary, others binary, counts binary"
+
+
+def _summed_rows(it):
+    """(key, other, n): for each key the other with the largest sum over the fragments."""
+    got = [[], [], []]
+    for batch in it:
+        for row in zip(*(batch.column(c).to_pylist() for c in ("keys", "others", "counts"))):
+            for held, raw in zip(got, row):
+                held.append(np.frombuffer(raw, "<i8"))
+    if not got[0]:
+        return
+    keys, others, counts = (np.concatenate(x) for x in got)
+    order = np.lexsort((others, keys))
+    keys, others, counts = keys[order], others[order], counts[order]
+    first = np.flatnonzero(np.concatenate(([True], (keys[1:] != keys[:-1]) | (others[1:] != others[:-1]))))
+    keys, others, counts = keys[first], others[first], np.add.reduceat(counts, first)
+    order = np.lexsort((others, counts, keys))
+    last = order[np.concatenate((keys[order][1:] != keys[order][:-1], [True]))]
+    yield pa.RecordBatch.from_arrays([pa.array(keys[last]), pa.array(others[last]), pa.array(counts[last])], names=["key", "other", "n"])
+
+
+def _summed(counted: DataFrame, parts: int) -> DataFrame:
+    return counted.repartitionById(parts, F.col("bucket")).mapInArrow(_summed_rows, "key long, other long, n long")
+
+
+def _vote_rows(parts: int):
     """In one fragment: for each class, how many n-grams others hold, and whose they are first.
 
     `more` carries the rank; of an n-gram's holders the best placed gets the votes of the others."""
@@ -315,12 +352,12 @@ def _vote_rows():
         best = np.repeat(owner[first], length)
         other = owner != best
         codes, votes = np.unique(owner[other].astype(np.int64) * len(keys) + best[other], return_counts=True)
-        yield pa.RecordBatch.from_arrays([pa.array(keys[codes // len(keys)]), pa.array(keys[codes % len(keys)]), pa.array(votes, pa.int64())], names=["key", "holder", "votes"])
+        yield from _count_batches(parts, keys[codes // len(keys)], keys[codes % len(keys)], votes)
 
     return run
 
 
-def _overlap_rows():
+def _overlap_rows(parts: int):
     """In one fragment: n-grams that each class has in common with the class it names in `more`."""
 
     def run(it):
@@ -342,7 +379,7 @@ def _overlap_rows():
         at = np.minimum(np.searchsorted(present, asked), len(present) - 1)
         n = np.bincount(owner[wants][present[at] == asked], minlength=len(keys))
         some = np.flatnonzero(n)
-        yield pa.RecordBatch.from_arrays([pa.array(keys[some]), pa.array(n[some].astype(np.int64))], names=["key", "common"])
+        yield from _count_batches(parts, keys[some], more[some, 0], n[some])
 
     return run
 
@@ -390,11 +427,10 @@ def link_labels(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     """(key, label): classes joined by a chain of links have one label."""
     # Best placed: a large share of common n-grams, as the text that others were copied from has.
     rank = F.lit(10**6) - (F.col("n_shared") * 10**6 / F.col("n")).cast("long")
-    votes = _dealt(sets, rank, parts).mapInArrow(_vote_rows(), "key long, holder long, votes long")
-    tally = votes.groupBy("key", "holder").agg(F.sum("votes").alias("votes"))
-    tally = settle(tally.groupBy("key").agg(F.max_by("holder", F.struct("votes", "holder")).alias("holder")), "jaccard-votes")
+    votes = _summed(_dealt(sets, rank, parts).mapInArrow(_vote_rows(parts), _COUNTS), parts)
+    tally = settle(votes.select("key", F.col("other").alias("holder")), "jaccard-votes")
     named = settle(sets.join(tally, "key", "left").select("key", "n", "grams", F.coalesce("holder", F.lit(0)).alias("holder")), "jaccard-named")
-    common = _dealt(named, F.col("holder"), parts).mapInArrow(_overlap_rows(), "key long, common long").groupBy("key").agg(F.sum("common").alias("common"))
+    common = _summed(_dealt(named, F.col("holder"), parts).mapInArrow(_overlap_rows(parts), _COUNTS), parts).select("key", F.col("n").alias("common"))
     size = named.select(F.col("key").alias("y"), F.col("n").alias("m"))
     pairs = common.join(named.select("key", "n", "holder"), "key").join(size, F.col("holder") == F.col("y"))
     links = pairs.where(F.col("common") * 100 >= (F.col("n") + F.col("m") - F.col("common")) * percent).select(F.col("key").alias("x"), "y")
