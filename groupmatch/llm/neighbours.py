@@ -18,6 +18,8 @@ from .durable import settle
 
 LINES = 64
 BLOCK = 8192
+#: Queries whose windows are looked up together.
+GROUP = 64
 
 
 class CollisionIndex:
@@ -29,34 +31,60 @@ class CollisionIndex:
         level = np.sqrt(np.maximum(1.0 - norms / self.top**2, 0.0))
         self.directions = np.random.default_rng(seed).standard_normal((vectors.shape[1] + 1, lines))
         shown = np.column_stack((self.vectors / self.top, level)) @ self.directions
-        self.orders = np.argsort(shown, axis=0, kind="stable").T.astype(np.int32).copy()
+        self.orders = np.argsort(shown, axis=0, kind="stable").T.astype(np.int64).copy()
         self.sorted = np.take_along_axis(shown, self.orders.T, 0).T.copy()
 
     def search(self, queries: np.ndarray, own: np.ndarray, k: int, share: float, threshold: float, width: float = 0.35, growth: float = 1.35):
         """For each query (id, scores) of the block's best k; `own` ids are left out."""
-        n, lines = self.sorted.shape[1], len(self.sorted)
+        n = len(self.ids)
         need = min(n, int(k + 1 + share * n))
+        for at in range(0, len(queries), GROUP):
+            some = slice(at, at + GROUP)
+            yield from self._verified(queries[some], own[some], self._colliding(queries[some], need, threshold, width, growth), k)
+
+    def _windows(self, centres: np.ndarray, radius: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where each query's window begins and ends on every array, as places in the arrays put end to end."""
+        n, lines = self.sorted.shape[1], len(self.sorted)
+        begin, end = (np.empty((len(centres), lines), np.int64) for _ in range(2))
+        for j in range(lines):
+            begin[:, j] = np.searchsorted(self.sorted[j], centres[:, j] - radius) + j * n
+            end[:, j] = np.searchsorted(self.sorted[j], centres[:, j] + radius, "right") + j * n
+        return begin, end
+
+    def _colliding(self, queries: np.ndarray, need: int, threshold: float, width: float, growth: float):
+        """For each query the vectors that collide with it on enough lines, `need` of them or more."""
+        n, lines = self.sorted.shape[1], len(self.sorted)
+        if need >= n:
+            return [np.arange(n)] * len(queries)
         unit = queries / np.linalg.norm(queries, axis=1, keepdims=True)
-        shown = np.column_stack((unit, np.zeros(len(unit)))) @ self.directions
-        for q, at, who in zip(queries, shown, own):
-            if need >= n:
-                some = np.arange(n)
-            else:
-                counts = np.zeros(n, np.int16)
-                low = [int(np.searchsorted(self.sorted[j], at[j])) for j in range(lines)]
-                high = list(low)
-                radius = width
-                while True:
-                    for j in range(lines):
-                        a = int(np.searchsorted(self.sorted[j], at[j] - radius))
-                        b = int(np.searchsorted(self.sorted[j], at[j] + radius, "right"))
-                        counts[self.orders[j, a : low[j]]] += 1
-                        counts[self.orders[j, high[j] : b]] += 1
-                        low[j], high[j] = a, b
-                    some = np.flatnonzero(counts >= threshold * lines)
-                    if len(some) >= need:
-                        break
-                    radius *= growth
+        centres = np.column_stack((unit, np.zeros(len(unit)))) @ self.directions
+        limit = int(np.ceil(threshold * lines))
+        flat = self.orders.reshape(-1)
+        found: list = [None] * len(queries)
+        counts: dict[int, np.ndarray] = {}
+        low, _ = self._windows(centres, np.zeros(len(centres)))
+        high = low.copy()
+        todo, radius = np.arange(len(queries)), width
+        while len(todo):
+            begin, end = self._windows(centres[todo], np.full(len(todo), radius))
+            # `need` vectors have at least need * limit collisions in all; narrower windows needn't be counted.
+            wide = np.flatnonzero((end - begin).sum(1) >= need * limit)
+            for i in wide:
+                q = int(todo[i])
+                spans = [*zip(begin[i], low[q]), *zip(high[q], end[i])]
+                fresh = np.bincount(np.concatenate([flat[a:b] for a, b in spans]), minlength=n)
+                counts[q] = counts[q] + fresh if q in counts else fresh
+                low[q], high[q] = begin[i], end[i]
+                some = np.flatnonzero(counts[q] >= limit)
+                if len(some) >= need:
+                    found[q] = some
+                    del counts[q]
+            todo = np.array([q for q in todo if found[q] is None], np.int64)
+            radius *= growth
+        return found
+
+    def _verified(self, queries: np.ndarray, own: np.ndarray, found, k: int):
+        for q, who, some in zip(queries, own, found):
             scores = self.vectors[some] @ q
             if len(some) > k + 1:
                 # Everything at least as near as the (k + 1)-th, so that ties go by id.
