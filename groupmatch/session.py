@@ -5,14 +5,23 @@ from __future__ import annotations
 import io
 import os
 import tempfile
+import threading
 import zipfile
 from pathlib import Path
 
 from pyspark.sql import SparkSession
 
 
+_one_at_a_time = threading.Lock()
+
+
 def ship(spark: SparkSession) -> SparkSession:
     """Send this package to the executors once per application (Spark's own file server)."""
+    with _one_at_a_time:
+        return _shipped(spark)
+
+
+def _shipped(spark: SparkSession) -> SparkSession:
     context = spark.sparkContext
     if getattr(context, "_groupmatch_shipped", False):
         return spark
