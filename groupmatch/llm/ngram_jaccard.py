@@ -73,23 +73,40 @@ def _fragment_of(grams: np.ndarray, parts: int) -> np.ndarray:
     return ((grams >> np.uint64(48)) * np.uint64(parts) >> np.uint64(16)).astype(np.int32)
 
 
+def _blob(counts: np.ndarray, sizes=()) -> bytes:
+    """Counts in a byte each (255: in four more at the end), then sizes, if any, in four bytes each."""
+    return np.minimum(counts, 255).astype(np.uint8).tobytes() + counts[counts >= 255].astype("<i4").tobytes() + np.asarray(sizes, "<i4").tobytes()
+
+
+def _unblob(raw: bytes, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The n counts and their sizes (0 where the blob has none)."""
+    counts = np.frombuffer(raw[:n], np.uint8).astype(np.int64)
+    large = np.flatnonzero(counts == 255)
+    rest = np.frombuffer(raw[n:], "<i4")
+    counts[large] = rest[: len(large)]
+    return counts, rest[len(large) :] if len(rest) > len(large) else np.zeros(n, np.int32)
+
+
 def _packed(keys, lengths, grams, parts):
-    """Rows (part, keys, counts, hashes) of many documents' sets, dealt out by fragment; counts are
-    pairs of the segment's and the whole set's size."""
+    """Rows (part, keys, counts, hashes) of many documents' sets, dealt out by fragment. Whole sizes would
+    be repeated in every fragment, so they go once to the task that gathers the class, without hashes."""
     owner = np.repeat(np.arange(len(keys), dtype=np.int32), lengths)
     part = _fragment_of(grams, parts)
     order = np.argsort(part, kind="stable")
     part, owner, low = part[order], owner[order], (grams & _MASK)[order]
     edges = np.searchsorted(part, np.arange(parts + 1))
-    whole = np.asarray(lengths, np.int64)
+    bucket, whole = _bucket(keys, parts), np.asarray(lengths)
+    for q in np.unique(bucket).tolist():
+        mine = np.flatnonzero(bucket == q)
+        yield q, keys[mine].astype("<i8").tobytes(), whole[mine].astype("<i4").tobytes(), None
     for p in range(parts):
         a, b = edges[p], edges[p + 1]
         if a == b:
             continue
         own = owner[a:b]
         first = np.flatnonzero(np.concatenate(([True], own[1:] != own[:-1])))
-        counts = np.stack((np.diff(np.append(first, len(own))), whole[own[first]]), 1).astype("<i4")
-        yield int(p), keys[own[first]].astype("<i8").tobytes(), counts.tobytes(), _six(low[a:b])
+        counts = _blob(np.diff(np.append(first, len(own))))
+        yield int(p), keys[own[first]].astype("<i8").tobytes(), counts, _six(low[a:b])
 
 
 def _segment_rows(n: int, parts: int):
@@ -134,20 +151,21 @@ class _Gathered:
     """All segments of one fragment, each class once. `width`: numbers carried along with each key."""
 
     def __init__(self, width: int = 0):
-        self.keys, self.counts, self.hashes, self.more, self.width = [], [], [], [], width
+        self.keys, self.counts, self.sizes, self.hashes, self.more, self.width = [], [], [], [], [], width
 
     def add(self, keys: bytes, counts: bytes, hashes: bytes, more: bytes = b""):
         self.keys.append(np.frombuffer(keys, "<i8"))
-        self.counts.append(np.frombuffer(counts, "<i4").reshape(-1, 2))
+        for held, values in zip((self.counts, self.sizes), _unblob(counts, len(keys) // 8)):
+            held.append(values)
         self.hashes.append(_eight(hashes))
         self.more.append(np.frombuffer(more, "<i8").reshape(-1, max(self.width, 1)))
 
     def sorted(self):
         """(keys, whole sizes, numbers of each key, owner of each entry, entry hash), entries by hash."""
-        keys, counts, hashes = np.concatenate(self.keys), np.concatenate(self.counts), np.concatenate(self.hashes)
+        keys, counts, sizes, hashes = (np.concatenate(x) for x in (self.keys, self.counts, self.sizes, self.hashes))
         more = np.concatenate(self.more)
         self.__init__(self.width)
-        owner = np.repeat(np.arange(len(keys), dtype=np.int32), counts[:, 0])
+        owner = np.repeat(np.arange(len(keys), dtype=np.int32), counts)
         uniq, first = np.unique(keys, return_index=True)
         if len(uniq) < len(keys):
             keep = np.zeros(len(keys), bool)
@@ -155,7 +173,7 @@ class _Gathered:
             mask = keep[owner]
             owner, hashes = owner[mask], hashes[mask]
         order = np.argsort(hashes)
-        return keys, counts[:, 1], more, owner[order], hashes[order]
+        return keys, sizes, more, owner[order], hashes[order]
 
 
 def _runs(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -172,7 +190,8 @@ def _bucket(keys: np.ndarray, parts: int) -> np.ndarray:
 
 
 def _by_bucket(parts, part, keys, sizes, owner, hashes, levels):
-    """Packed rows of a fragment's remaining entries for the tasks that gather whole classes."""
+    """Packed rows of a fragment's remaining entries for the tasks that gather whole classes; `sizes` of
+    None where these come by themselves."""
     order = np.lexsort((owner, _bucket(keys, parts)[owner]))
     owner, hashes, levels = owner[order], hashes[order], levels[order]
     bucket = _bucket(keys, parts)[owner]
@@ -182,7 +201,7 @@ def _by_bucket(parts, part, keys, sizes, owner, hashes, levels):
         if a < b:
             start, count = _runs(owner[a:b])
             who = owner[a:b][start]
-            yield q, None, None, None, part, keys[who].astype("<i8").tobytes(), np.stack((count, sizes[who]), 1).astype("<i4").tobytes(), _six(hashes[a:b]), levels[a:b].tobytes()
+            yield q, None, None, None, part, keys[who].astype("<i8").tobytes(), _blob(count, () if sizes is None else sizes[who]), _six(hashes[a:b]), levels[a:b].tobytes()
 
 
 def _shared_rows(parts: int):
@@ -195,16 +214,18 @@ def _shared_rows(parts: int):
             for p, d, n, k, keys, counts, hashes in zip(*batch.to_pydict().values()):
                 if keys is None:
                     rows.append((None, d, n, k, None, None, None, None, None))
+                elif hashes is None:
+                    rows.append((p, None, None, None, None, keys, counts, None, None))
                 else:
                     part = p
                     held.add(keys, counts, hashes)
             yield from _arrow(rows, _SHARED)
         if part is None:
             return
-        keys, sizes, _, owner, hashes = held.sorted()
+        keys, _, _, owner, hashes = held.sorted()
         _, length = _runs(hashes)
         both = np.repeat(length > 1, length)
-        yield from _arrow(list(_by_bucket(parts, part, keys, sizes, owner[both], hashes[both], np.zeros(int(both.sum()), np.uint8))), _SHARED)
+        yield from _arrow(list(_by_bucket(parts, part, keys, None, owner[both], hashes[both], np.zeros(int(both.sum()), np.uint8))), _SHARED)
 
     return run
 
@@ -233,17 +254,25 @@ def _outside_rows(parts: int):
 
 def _collect(it):
     """(key, size, grams, levels) of each class, gathered over the fragments; grams carry the fragment."""
-    keys, counts, hashes, levels = [], [], [], []
+    keys, counts, sizes, hashes, levels, known = [], [], [], [], [], ([], [])
     for batch in it:
         for p, k, c, h, v in zip(*(batch.column(x).to_pylist() for x in ("part", "keys", "counts", "hashes", "levels"))):
+            if h is None:
+                known[0].append(np.frombuffer(k, "<i8"))
+                known[1].append(np.frombuffer(c, "<i4"))
+                continue
             keys.append(np.frombuffer(k, "<i8"))
-            counts.append(np.frombuffer(c, "<i4").reshape(-1, 2))
+            for held, values in zip((counts, sizes), _unblob(c, len(k) // 8)):
+                held.append(values)
             hashes.append(_eight(h) | (np.uint64(p) << np.uint64(48)))
             levels.append(np.frombuffer(v, np.uint8))
     if not keys:
         return None
-    keys, counts, hashes, levels = (np.concatenate(x) for x in (keys, counts, hashes, levels))
-    owner, size = np.repeat(keys, counts[:, 0]), np.repeat(counts[:, 1], counts[:, 0])
+    keys, counts, sizes, hashes, levels = (np.concatenate(x) for x in (keys, counts, sizes, hashes, levels))
+    if known[0]:
+        names, first = np.unique(np.concatenate(known[0]), return_index=True)
+        sizes = np.concatenate(known[1])[first][np.searchsorted(names, keys)]
+    owner, size = np.repeat(keys, counts), np.repeat(sizes, counts)
     order = np.argsort(owner, kind="stable")
     owner, size, hashes, levels = owner[order], size[order], hashes[order], levels[order]
     start, count = _runs(owner)
@@ -384,8 +413,8 @@ def _overlap_rows(parts: int):
     return run
 
 
-def _dealt(sets: DataFrame, number: Column, parts: int) -> DataFrame:
-    """Sets (key, n, grams) with a number each, cut into the fragments again."""
+def _dealt(sets: DataFrame, number: Column, parts: int, sized: bool = False) -> DataFrame:
+    """Sets (key, n, grams) with a number each, cut into the fragments again; `sized`: with their sizes."""
 
     def run(it):
         for batch in it:
@@ -405,7 +434,7 @@ def _dealt(sets: DataFrame, number: Column, parts: int) -> DataFrame:
                     if x < y:
                         start, count = _runs(owner[x:y])
                         who = owner[x:y][start]
-                        rows.append((p, keys[who].astype("<i8").tobytes(), np.stack((count, n[who]), 1).astype("<i4").tobytes(), _six(low[x:y]), more[who].astype("<i8").tobytes()))
+                        rows.append((p, keys[who].astype("<i8").tobytes(), _blob(count, n[who] if sized else ()), _six(low[x:y]), more[who].astype("<i8").tobytes()))
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()))], names=["part", "keys", "counts", "hashes", "more"])
 
@@ -449,7 +478,7 @@ def _rest(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     Similar classes under different labels share a prefix n-gram, so they are in one component of the
     classes by prefix n-grams. Components are cut into squares of SIDE by SIDE classes; a task compares
     its square by products of incidence matrices and returns links that join more labels only."""
-    outside = _dealt(sets, F.col("label"), parts).mapInArrow(_outside_rows(parts), _SHARED).select("bucket", "part", *(f.name for f in _BLOBS))
+    outside = _dealt(sets, F.col("label"), parts, sized=True).mapInArrow(_outside_rows(parts), _SHARED).select("bucket", "part", *(f.name for f in _BLOBS))
     prefixes = settle(outside.repartitionById(parts, F.col("bucket")).mapInArrow(_prefix_rows(percent), "key long, gram long"), "jaccard-prefixes")
     heads = prefixes.groupBy("gram").agg(F.min("key").alias("y"))
     edges = prefixes.join(heads, "gram").where("key <> y").select(F.col("key").alias("x"), "y").distinct()
