@@ -15,7 +15,7 @@ def mixed(x: str) -> str:
 def handover(k: int = 3) -> str:
     """CTEs vtx (id, label, influence) and edg (src, dst, trust, intimacy) of handover(k)."""
     return f"""vtx AS (SELECT c_custkey AS id, c_mktsegment AS label, {mixed('c_custkey * 7919 + 17')} AS influence FROM customer),
-raw AS (SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, l_orderkey) AS dst, l_returnflag
+raw AS (SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, l_orderkey, l_linenumber, l_returnflag) AS dst, l_returnflag
   FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_linenumber <= {k}),
 edg AS MATERIALIZED (SELECT src, dst, {mixed('src * 1000003 + dst * 7919 + 101')} AS trust, {mixed('src * 1000033 + dst * 104729 + 211')} AS intimacy
   FROM (SELECT DISTINCT src, dst FROM raw WHERE dst IS NOT NULL AND src <> dst))"""

@@ -28,10 +28,10 @@ def pseudo_random(vertices: DataFrame, edges: DataFrame) -> SocialGraph:
 
 
 def _handed(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
-    lines = table(spark, sf_dir, "lineitem").where(F.col("l_linenumber") <= k).select("l_orderkey", "l_partkey", "l_returnflag")
+    lines = table(spark, sf_dir, "lineitem").where(F.col("l_linenumber") <= k).select("l_orderkey", "l_partkey", "l_linenumber", "l_returnflag")
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
     rows = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
-    after = Window.partitionBy("l_partkey").orderBy("o_orderdate", "l_orderkey")
+    after = Window.partitionBy("l_partkey").orderBy("o_orderdate", "l_orderkey", "l_linenumber", "l_returnflag")
     rows = rows.select(F.col("o_custkey").alias("src"), F.lead("o_custkey").over(after).alias("dst"), "l_returnflag")
     return rows.where("dst IS NOT NULL AND src <> dst")
 
