@@ -20,6 +20,8 @@ from .textops import _IS_BREAK, batches, distinct, mix, utf8, windows, words_by_
 ORDER, BITS = 4, 6
 CLASSES = 1 << BITS
 GRID = 1000
+#: Robust deviations on either side of a language's median that are kept.
+WIDTH = 4.0
 _OTHER = 63
 _classes: list[np.ndarray] = []
 
@@ -264,9 +266,10 @@ def _scored(docs: DataFrame, models, bands=None) -> DataFrame:
 
 
 def bands_of(scored: DataFrame, width: float) -> dict[str, tuple[float, float]]:
-    """Per language: median -/+ width times the median absolute deviation (as a standard deviation),
-    of base-clean documents, exact on a grid of 1/1000; at least 0.05 of deviation is assumed."""
-    cells = scored.where("log_ppl IS NOT NULL AND NOT base_failed")
+    """Per language: median -/+ width times the median absolute deviation (as a standard deviation), exact
+    on a grid of 1/1000. Base-clean texts count once however often they are copied, so that copies don't
+    narrow the band; the deviation is two steps of the grid at least. Needs lang, base_failed, log_ppl and `__key`."""
+    cells = scored.where("log_ppl IS NOT NULL AND NOT base_failed").select("lang", "log_ppl", "__key").distinct()
     cells = cells.groupBy("lang", F.round(F.col("log_ppl") * GRID).cast("int").alias("cell")).count().toArrow().to_pydict()
     out: dict[str, tuple[float, float]] = {}
     by: dict[str, list] = {}
@@ -279,12 +282,12 @@ def bands_of(scored: DataFrame, width: float) -> dict[str, tuple[float, float]]:
 
     for lang, pairs in by.items():
         m = middle(pairs)
-        s = max(1.4826 * middle([(abs(c - m), n) for c, n in pairs]), 50.0)
+        s = max(1.4826 * middle([(abs(c - m), n) for c, n in pairs]), 2.0)
         out[lang] = (round((m - width * s) / GRID, 6), round((m + width * s) / GRID, 6))
     return out
 
 
-def judge(docs: DataFrame, width: float = 8.0, entry_limit: int = 1 << 26) -> DataFrame:
+def judge(docs: DataFrame, width: float = WIDTH, entry_limit: int = 1 << 26) -> DataFrame:
     """The columns of `docs` and n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words (long), base_failed,
     log_ppl (null without text), lower, upper and kept. Needs text and lang; of columns with names
     of the results, the results stay.
@@ -295,11 +298,11 @@ def judge(docs: DataFrame, width: float = 8.0, entry_limit: int = 1 << 26) -> Da
     docs = docs.drop(*[c for c in docs.columns if c in clash])
     models = train(docs, entry_limit)
     lang = F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang")
-    narrow = _scored(docs.select("text", lang), models).select("lang", "base_failed", "log_ppl")
+    narrow = _scored(docs.select("text", lang), models).select("lang", "base_failed", "log_ppl", F.xxhash64("text").alias("__key"))
     return _scored(docs, models, bands_of(narrow, width))
 
 
-def reject(docs: DataFrame, width: float = 8.0) -> DataFrame:
+def reject(docs: DataFrame, width: float = WIDTH) -> DataFrame:
     """The documents that the base rules and the perplexity bands keep."""
     columns = docs.columns
     return judge(docs, width).where("kept").select(*columns)

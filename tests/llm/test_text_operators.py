@@ -112,6 +112,15 @@ def test_perplexity_rejects_gibberish(spark):
     assert kept == set(range(60))
 
 
+def test_perplexity_bands_reject_labelled_junk(spark):
+    """Word lists and words with added symbols are outside the bands, prose with a good label is inside."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text", "lang")
+    labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet").groupBy("doc_id").max("quality").toDF("doc_id", "quality")
+    got = Counter((r.quality, r.kept) for r in perplexity.judge(docs).where("NOT base_failed AND lang = 'en'").join(labels, "doc_id").collect())
+    assert got[0, False] >= 0.5 * (got[0, True] + got[0, False]) > 0
+    assert got[1, False] <= 0.05 * got[1, True]
+
+
 def test_secrets(spark):
     key = "AKIA" + "Q7XZ2MPL9RT4WY6B"
     hexed = hashlib.sha1(b"x").hexdigest()
