@@ -1,11 +1,13 @@
-"""Quality rules with a perplexity model: modified Kneser-Ney over character-class 4-grams.
+"""Quality rules with a perplexity model: modified Kneser-Ney over 5-grams of the characters themselves.
 
-Word n-grams grow with the corpus and can't be held by a scoring task; character classes
-give at most 64^4 entries a language, whatever the corpus, which proves the broadcast's
-size (and `entry_limit` checks it). Spark counts the 4-grams of all documents; lower orders are
-continuation counts of the same table. Scoring looks n-grams up in sorted arrays of hashes.
+Characters are not folded, so every script counts and the model grows with the corpus. It is never held
+whole: documents are dealt into chunks of bounded size, each chunk lists its distinct 5-grams with counts, Spark
+adds them up, lower orders are continuation counts, and probabilities come from joins by n-gram. Each
+chunk gets back the 5-grams that it asked for and scores its documents in sorted arrays of hashes.
 Each language has a lower and an upper bound of log-perplexity around its own median;
 documents outside, such as gibberish above or repeated boilerplate below, are rejected.
+
+`SortedModel` is the same estimate over character classes for one language in memory, for tests.
 """
 
 from __future__ import annotations
@@ -15,13 +17,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .durable import settle
 from .textops import _IS_BREAK, batches, distinct, mix, utf8, windows, words_by_text
 
 ORDER, BITS = 4, 6
 CLASSES = 1 << BITS
+REACH = 5
+PAD = 3
+#: Bytes of text in a chunk, and the least number of chunks.
+CHUNK, CHUNKS = 32 << 20, 12
 GRID = 1000
 #: Robust deviations on either side of a language's median that are kept.
-WIDTH = 4.0
+WIDTH = 3.5
 _OTHER = 63
 _classes: list[np.ndarray] = []
 
@@ -75,33 +82,12 @@ def _counted(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return codes[first], np.diff(np.append(first, len(codes)))
 
 
-def _count_rows(it):
-    held: dict[str, list] = {}
-    for batch in it:
-        texts, langs = utf8(batch.column(0)), batch.column(1).to_pylist()
-        for lang in dict.fromkeys(langs):
-            mine = [t for t, own in zip(texts, langs) if own == lang and t]
-            for group in batches(mine):
-                codes, n = _counted(gram_codes([mine[i] for i in group])[0])
-                kept = held.setdefault(lang, [np.zeros(0, np.uint32), np.zeros(0, np.int64)])
-                every = np.concatenate((kept[0], codes))
-                order = np.argsort(every, kind="stable")
-                every, n = every[order], np.concatenate((kept[1], n))[order]
-                first = np.flatnonzero(np.concatenate(([True], every[1:] != every[:-1])))
-                held[lang] = [every[first], np.add.reduceat(n, first)]
-    for lang, (codes, n) in held.items():
-        yield pa.RecordBatch.from_arrays([pa.array([lang] * len(codes), pa.string()), pa.array(codes.astype(np.int32)), pa.array(n)], names=["lang", "code", "n"])
-
-
-def count_grams(docs: DataFrame) -> DataFrame:
-    """(lang, code, n): 4-gram counts over whole texts; pre-aggregated in each task."""
-    rows = docs.select("text", F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang"))
-    return rows.mapInArrow(_count_rows, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
-
-
 def _discounts(counts: np.ndarray) -> np.ndarray:
     """Discounts for counts of 1, 2 and 3 or more, from counts of counts."""
-    n1, n2, n3, n4 = (float(np.count_nonzero(counts == k)) for k in (1, 2, 3, 4))
+    return discounts_of(*(float(np.count_nonzero(counts == k)) for k in (1, 2, 3, 4)))
+
+
+def discounts_of(n1: float, n2: float, n3: float, n4: float) -> np.ndarray:
     if not n1 or not n2:
         return np.array([0.0, 0.5, 0.5, 0.5])
     y = n1 / (n1 + 2 * n2)
@@ -163,16 +149,94 @@ class SortedModel:
         return out
 
 
-def train(docs: DataFrame, entry_limit: int = 1 << 26) -> dict[str, SortedModel]:
-    """A model for each language. At most 64^4 entries each; over `entry_limit` in all is an error."""
-    table = count_grams(docs).limit(entry_limit + 1).toArrow()
-    if table.num_rows > entry_limit:
-        raise ValueError(f"the perplexity models hold over {entry_limit} entries; raise entry_limit or pool rare languages")
-    table = table.sort_by([("lang", "ascending"), ("code", "ascending")])
-    langs = table["lang"].combine_chunks().dictionary_encode()
-    index = langs.indices.to_numpy(zero_copy_only=False)
-    codes, n = table["code"].to_numpy(), table["n"].to_numpy()
-    return {str(lang): SortedModel(codes[index == i], n[index == i]) for i, lang in enumerate(langs.dictionary.to_pylist())}
+def grams_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Padded code points of all texts, where the 5-gram of every character and text end begins, its hash,
+    and where each text's 5-grams start."""
+    points = [np.frombuffer(t.decode("utf-8").encode("utf-32-le"), np.uint32) for t in texts]
+    sizes = np.array([len(p) for p in points])
+    flat = np.full(int(sizes.sum()) + (REACH - 1) * (len(texts) + 1), PAD, np.uint32)
+    keep = np.zeros(len(flat), bool)
+    at = REACH - 1
+    for p in points:
+        flat[at : at + len(p)] = p
+        keep[at : at + len(p) + 1] = True
+        at += len(p) + REACH - 1
+    begins = np.flatnonzero(keep) - (REACH - 1)
+    hashes = np.zeros(len(flat) - REACH + 1, np.uint64)
+    for k in range(REACH):
+        hashes = hashes * np.uint64(0xD6E8FEB86659FD93) + flat[k : k + len(hashes)]
+    return flat, begins, mix(hashes)[begins], np.concatenate(([0], np.cumsum(sizes + 1)[:-1]))
+
+
+def _merged(hashes: np.ndarray, grams: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
+    order = np.argsort(hashes, kind="stable")
+    hashes = hashes[order]
+    first = np.flatnonzero(np.concatenate(([True], hashes[1:] != hashes[:-1])))
+    return [hashes[first], grams[order[first]], np.add.reduceat(n[order], first)]
+
+
+def _strings(grams: np.ndarray) -> pa.Array:
+    body = grams.astype("<u4").tobytes().decode("utf-32-le").encode("utf-8")
+    sizes = (1 + (grams >= 0x80) + (grams >= 0x800) + (grams >= 0x10000)).sum(axis=1)
+    offsets = np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)
+    return pa.StringArray.from_buffers(len(grams), pa.py_buffer(offsets.tobytes()), pa.py_buffer(body))
+
+
+def _gram_rows(it):
+    held: dict[tuple, list] = {}
+    for batch in it:
+        chunks, langs, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist(), utf8(batch.column(2))
+        keys = list(zip(chunks, langs))
+        for key in dict.fromkeys(keys):
+            mine = [t for t, own in zip(texts, keys) if own == key and t]
+            for group in batches(mine):
+                flat, begins, hashes, _ = grams_of([mine[i] for i in group])
+                at = np.argsort(hashes, kind="stable")
+                first = np.flatnonzero(np.concatenate(([True], np.diff(hashes[at]) != 0)))
+                grams = flat[begins[at[first]][:, None] + np.arange(REACH)]
+                own = [hashes[at[first]], grams, np.diff(np.append(first, len(at)))]
+                held[key] = _merged(*map(np.concatenate, zip(held[key], own))) if key in held else own
+    for (chunk, lang), (_, grams, n) in held.items():
+        for k in range(0, len(n), 100_000):
+            part = slice(k, k + 100_000)
+            m = len(n[part])
+            yield pa.RecordBatch.from_arrays([pa.array([chunk] * m, pa.int32()), pa.array([lang] * m, pa.string()), _strings(grams[part]), pa.array(n[part], pa.int64())], names=["chunk", "lang", "gram", "n"])
+
+
+def count_grams(dealt: DataFrame) -> DataFrame:
+    """(chunk, lang, gram, n): the distinct 5-grams of each chunk's texts; needs chunk, lang and text."""
+    return dealt.select("chunk", "lang", "text").mapInArrow(_gram_rows, "chunk int, lang string, gram string, n long")
+
+
+def train(grams: DataFrame) -> DataFrame:
+    """(lang, gram, log_p): log-probability of the last character of every 5-gram that occurs, a table of any size."""
+    tables = {REACH: settle(grams.groupBy("lang", "gram").agg(F.sum("n").alias("n")), "grams")}
+    for k in range(REACH - 1, 0, -1):
+        # continuation counts: distinct left neighbours
+        rest = F.substring("gram", 2, k).alias("gram")
+        tables[k] = settle(tables[k + 1].groupBy("lang", rest).agg(F.count("*").alias("n")), "grams")
+    spark = grams.sparkSession
+    seen, symbols = {}, {}
+    for k, t in tables.items():
+        for lang, n, rows in zip(*t.groupBy("lang", F.least("n", F.lit(5)).alias("n")).count().toArrow().to_pydict().values()):
+            seen[k, lang, n] = float(rows)
+            symbols[lang] = symbols.get(lang, 0) + (rows if k == 1 else 0)
+    out = None
+    for k in range(1, REACH + 1):
+        own = [(lang, *map(float, discounts_of(*(seen.get((k, lang, n), 0.0) for n in (1, 2, 3, 4)))[1:]), 1.0 / symbols[lang]) for lang in symbols]
+        own = F.broadcast(spark.createDataFrame(own, "lang string, d1 double, d2 double, d3 double, even double"))
+        rows = tables[k].withColumn("head", F.substring("gram", 1, k - 1))
+        count = lambda c: F.count_if(c).cast("double")
+        heads = rows.groupBy("lang", "head").agg(F.sum("n").alias("total"), count(F.col("n") == 1).alias("c1"), count(F.col("n") == 2).alias("c2"), count(F.col("n") > 2).alias("c3"))
+        rows = rows.join(own, "lang").join(heads, ["lang", "head"])
+        if out is not None:
+            rows = rows.withColumn("rest", F.substring("gram", 2, k - 1)).join(out, ["lang", "rest"])
+        base = F.col("even") if out is None else F.col("lower")
+        d = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
+        gamma = (F.col("d1") * F.col("c1") + F.col("d2") * F.col("c2") + F.col("d3") * F.col("c3")) / F.col("total")
+        p = F.greatest(F.col("n") - d, F.lit(0.0)) / F.col("total") + gamma * base
+        out = rows.select("lang", F.col("gram").alias("rest"), p.alias("lower"))
+    return out.select("lang", F.col("rest").alias("gram"), F.log("lower").cast("float").alias("log_p"))
 
 
 _BLANKS = "\x20\x09\x0a\x0b\x0c\x0d"
@@ -221,55 +285,77 @@ def _measures(texts: list[bytes], langs: list[str], models) -> list[pa.Array]:
         chars[i] = np.count_nonzero(((raw & 0xC0) != 0x80) & ~_IS_BREAK[raw])
         symbols[i] = np.count_nonzero(_SYMBOL[raw])
         lines[i] = repeated_lines(texts[i])
-    scratch = None
     for lang in dict.fromkeys(langs):
-        model = models.get(lang)
         mine = [i for i, own in enumerate(langs) if own == lang and texts[i]]
-        if model is None or not mine:
+        if not mine:
             continue
-        if scratch is None:
-            scratch = np.zeros(1 << BITS * ORDER, np.float32)
+        known, log_p = models[lang]
         for group in batches([texts[i] for i in mine]):
-            codes, starts = gram_codes([texts[mine[k]] for k in group])
-            distinct = _counted(codes)[0]
-            scratch[distinct] = model.log_p(distinct)
-            sums = np.add.reduceat(scratch[codes].astype(np.float64), starts)
-            sizes = np.diff(np.append(starts, len(codes)))
+            _, _, hashes, starts = grams_of([texts[mine[k]] for k in group])
+            sums = np.add.reduceat(log_p[np.searchsorted(known, hashes)].astype(np.float64), starts)
+            sizes = np.diff(np.append(starts, len(hashes)))
             ppl[[mine[k] for k in group]] = -sums / sizes
     failed = (words < 10) | (100 * repeats > 20 * words)
     return [pa.array(x) for x in (words, chars, symbols, lines, repeats, failed)] + [pa.array(ppl, from_pandas=True)]
 
 
-def _scored(docs: DataFrame, models, bands=None) -> DataFrame:
-    held = docs.sparkSession.sparkContext.broadcast((models, bands))
-    columns = docs.columns
-    fields = _BASE + (", lower double, upper double, kept boolean" if bands is not None else "")
-    names = [f.split()[0] for f in fields.split(", ")]
-
-    def run(it):
-        models, bands = held.value
-        for batch in it:
-            texts = utf8(batch.column(len(columns)))
-            langs = batch.column(len(columns) + 1).to_pylist()
-            out = _measures(texts, langs, models)
-            if bands is not None:
-                low, high = (np.array([bands.get(x, (-np.inf, np.inf))[k] for x in langs]) for k in (0, 1))
-                ppl = np.nan_to_num(out[6].to_numpy(zero_copy_only=False), nan=0.0)
-                fine = (ppl >= low) & (ppl <= high) | np.isnan(out[6].to_numpy(zero_copy_only=False))
-                out += [pa.array(low), pa.array(high), pa.array(fine & ~np.asarray(out[5]))]
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(columns)], *out], names=[*columns, *names])
-
-    lang = F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("__lang")
-    given = docs.select("*", F.col("text").alias("__text"), lang)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return given.mapInArrow(run, f"{schema}, {fields}")
+def _sorted_models(rows: pa.Table) -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    """Per language: sorted hashes of 5-grams and their log-probabilities."""
+    out = {}
+    if not rows.num_rows:
+        return out
+    points = np.frombuffer("".join(rows["gram"].to_pylist()).encode("utf-32-le"), np.uint32).reshape(-1, REACH)
+    hashes = np.zeros(len(points), np.uint64)
+    for k in range(REACH):
+        hashes = hashes * np.uint64(0xD6E8FEB86659FD93) + points[:, k]
+    hashes, log_p = mix(hashes), rows["log_p"].to_numpy()
+    langs = rows["lang"].combine_chunks().dictionary_encode()
+    index = langs.indices.to_numpy(zero_copy_only=False)
+    for i, lang in enumerate(langs.dictionary.to_pylist()):
+        mine = np.flatnonzero(index == i)
+        mine = mine[np.argsort(hashes[mine])]
+        out[lang] = (hashes[mine], log_p[mine])
+    return out
+
+
+def _scored(docs: DataFrame) -> DataFrame:
+    """The columns of `docs`, the measures, __lang and __key, written to the shared folder."""
+    columns = [c for c in docs.columns if c != "__text"]
+    spark = docs.sparkSession
+    size = docs.agg(F.sum(F.octet_length("__text"))).first()[0] or 0
+    chunks = max(CHUNKS, -(-int(size) // CHUNK))
+    given = docs.withColumn("__lang", F.coalesce(F.col("lang").cast("string"), F.lit("")))
+    given = given.withColumn("__key", F.xxhash64("__text"))
+    spread = [c for c in columns if docs.schema[c].dataType.simpleString() in ("bigint", "int", "string")]
+    given = given.withColumn("__chunk", F.pmod(F.xxhash64("__key", *spread), F.lit(chunks)).cast("int"))
+    dealt = given.select(F.col("__chunk").alias("chunk"), F.col("__lang").alias("lang"), F.col("__text").alias("text")).repartition(chunks, "chunk")
+    grams = settle(count_grams(dealt), "chunk-grams")
+    answers = grams.join(train(grams), ["lang", "gram"]).select(F.col("chunk").alias("__chunk"), "lang", "gram", "log_p")
+    # The texts are dealt again below; this frees the files of the first time.
+    spark.sparkContext._jvm.System.gc()
+    names = [f.split()[0] for f in _BASE.split(", ")]
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        models = _sorted_models(right)
+        parts = []
+        for batch in left.to_batches(max_chunksize=10_000):
+            langs = batch.column("__lang").to_pylist()
+            out = _measures(utf8(batch.column("__text")), langs, models)
+            parts.append(pa.RecordBatch.from_arrays([*(batch.column(c) for c in [*columns, "__lang", "__key"]), *out], names=[*columns, "__lang", "__key", *names]))
+        return pa.Table.from_batches(parts) if parts else empty
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in given.select(*columns, "__lang", "__key").schema.fields) + f", {_BASE}"
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    empty = to_arrow_schema(spark.createDataFrame([], schema).schema).empty_table()
+    return settle(given.groupBy("__chunk").cogroup(answers.groupBy("__chunk")).applyInArrow(run, schema), "scored")
 
 
 def bands_of(scored: DataFrame, width: float) -> dict[str, tuple[float, float]]:
     """Per language: median -/+ width times the median absolute deviation (as a standard deviation), exact
     on a grid of 1/1000. Base-clean texts count once however often they are copied, so that copies don't
-    narrow the band; the deviation is two steps of the grid at least. Needs lang, base_failed, log_ppl and `__key`."""
-    cells = scored.where("log_ppl IS NOT NULL AND NOT base_failed").select("lang", "log_ppl", "__key").distinct()
+    narrow the band; the deviation is two steps of the grid at least. Needs __lang, __key, base_failed and log_ppl."""
+    cells = scored.where("log_ppl IS NOT NULL AND NOT base_failed").select(F.col("__lang").alias("lang"), "log_ppl", "__key").distinct()
     cells = cells.groupBy("lang", F.round(F.col("log_ppl") * GRID).cast("int").alias("cell")).count().toArrow().to_pydict()
     out: dict[str, tuple[float, float]] = {}
     by: dict[str, list] = {}
@@ -287,19 +373,23 @@ def bands_of(scored: DataFrame, width: float) -> dict[str, tuple[float, float]]:
     return out
 
 
-def judge(docs: DataFrame, width: float = WIDTH, entry_limit: int = 1 << 26) -> DataFrame:
-    """The columns of `docs` and n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words (long), base_failed,
-    log_ppl (null without text), lower, upper and kept. Needs text and lang; of columns with names
+def judge(docs: DataFrame, width: float = WIDTH, columns: list[str] | None = None) -> DataFrame:
+    """The columns of `docs` (or of them `columns`) and n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words (long),
+    base_failed, log_ppl (null without text), lower, upper and kept. Needs text and lang; of columns with names
     of the results, the results stay.
 
     Null and empty texts have no words, fail the base rules and are not kept. A null lang is a
     language of its own. Repeated rows get equal verdicts. An empty table gives an empty result."""
     clash = [f.split()[0] for f in (_BASE + ", lower x, upper x, kept x").split(", ")]
-    docs = docs.drop(*[c for c in docs.columns if c in clash])
-    models = train(docs, entry_limit)
-    lang = F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang")
-    narrow = _scored(docs.select("text", lang), models).select("lang", "base_failed", "log_ppl", F.xxhash64("text").alias("__key"))
-    return _scored(docs, models, bands_of(narrow, width))
+    names = [c for c in columns or docs.columns if c not in clash]
+    # lang decides the model, whether it is asked for or not.
+    scored = _scored(docs.select(*dict.fromkeys([*names, "lang"]), F.col("text").alias("__text")))
+    bands = [(lang, *b) for lang, b in bands_of(scored, width).items()]
+    bands = F.broadcast(docs.sparkSession.createDataFrame(bands, "__lang string, lower double, upper double"))
+    rows = scored.join(bands, "__lang", "left")
+    low, high = F.coalesce("lower", F.lit(float("-inf"))), F.coalesce("upper", F.lit(float("inf")))
+    fine = F.coalesce(F.col("log_ppl").between(low, high), F.lit(True)) & ~F.col("base_failed")
+    return rows.select(*names, *[f.split()[0] for f in _BASE.split(", ")], low.alias("lower"), high.alias("upper"), fine.alias("kept"))
 
 
 def reject(docs: DataFrame, width: float = WIDTH) -> DataFrame:

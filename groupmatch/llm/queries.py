@@ -20,7 +20,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_perplexity_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    judged = perplexity.judge(_table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+    judged = perplexity.judge(_table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), columns=["doc_id"])
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "log_ppl", "lower", "upper")
 
 

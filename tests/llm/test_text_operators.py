@@ -121,6 +121,40 @@ def test_perplexity_bands_reject_labelled_junk(spark):
     assert got[1, False] <= 0.05 * got[1, True]
 
 
+def test_perplexity_rejects_shuffled_words(spark):
+    rng = random.Random(2)
+    lines = ["the quick brown fox jumps over", "some lazy dogs sleep near houses", "while birds sing songs at dawn", "nobody listens to what we say", "rivers carry stones down into valleys", "an old man walks home slowly"]
+    lines += ["children play games behind that wall", "their mother bakes bread every morning", "cold winds blow from northern mountains", "ships bring goods across wide oceans"]
+    plain = [(i, " ".join(rng.sample(lines, 6)) + f" {i}", "en", "s") for i in range(80)]
+    shuffled = []
+    for i, text, *_ in plain[:3]:
+        words = text.split()
+        rng.shuffle(words)
+        shuffled.append((900 + i, " ".join(words), "en", "s"))
+    got = {r.doc_id: r for r in perplexity.judge(table(spark, [*plain, *shuffled])).collect()}
+    assert all(got[r[0]].log_ppl > got[r[0]].upper for r in shuffled)
+    assert sum(got[r[0]].kept for r in plain) >= 76
+
+
+def test_perplexity_grows_with_scripts(spark):
+    """Characters are not folded: letters 18 apart differ, each script gets entries, and probabilities sum to one."""
+    grams = lambda texts: perplexity.count_grams(spark.createDataFrame([(0, "x", t) for t in texts], "chunk int, lang string, text string"))
+    rng = random.Random(8)
+    cyrillic = "".join(chr(0x430 + k % 32) for k in range(400))
+    folded = "".join(chr(0x430 + k % 18) for k in range(400))
+    assert grams([cyrillic]).count() > grams([folded]).count() and grams(["日本語 한국어 😀😁"]).count() == 11
+    table_ = perplexity.train(grams([cyrillic, "ab ac ab ad"]))
+    heads = Counter()
+    for r in table_.collect():
+        assert r.log_p < 0
+        heads[r.gram[:4]] += np.exp(r.log_p)
+    assert max(heads.values()) <= 1 + 1e-5
+    plain = [(i, " ".join(rng.choice(["слово", "город", "вода", "земля", "небо", "река", "гора"]) for _ in range(40)) + f" {i}", "ru", "s") for i in range(60)]
+    odd = (999, "".join(chr(ord(c) + 18) if "а" <= c <= "н" else c for c in plain[0][1]), "ru", "s")
+    got = {r.doc_id: r.log_ppl for r in perplexity.judge(table(spark, [*plain, odd])).collect()}
+    assert got[999] > got[0] + 0.02
+
+
 def test_secrets(spark):
     key = "AKIA" + "Q7XZ2MPL9RT4WY6B"
     hexed = hashlib.sha1(b"x").hexdigest()
