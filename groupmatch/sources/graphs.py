@@ -145,13 +145,16 @@ def turns(spark: SparkSession, sf_dir: str) -> SocialGraph:
 
 
 def links(spark: SparkSession, sf_dir: str) -> SocialGraph:
-    """Page to later page with a common outgoing link; links of over a thousand pages (menus) join through
-    neighbours in page order instead of all pairs."""
+    """Page to every later page with a common outgoing link.
+
+    Pairs of one link are spread over `salts` tasks by the earlier page, and each page counts once a link."""
+    salts = 8
     p = table(spark, sf_dir, "pages")
     href = F.explode(F.array_distinct(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1)))).alias("href")
     own = p.select("page_id", href)
-    after = Window.partitionBy("href").orderBy("page_id")
-    pairs = own.select(F.col("page_id").alias("src"), F.lead("page_id").over(after).alias("dst")).where("dst IS NOT NULL AND src <> dst")
+    early = own.select("href", F.col("page_id").alias("src"), F.pmod(F.xxhash64("page_id"), F.lit(salts)).cast("int").alias("salt"))
+    late = own.select("href", F.col("page_id").alias("dst"), F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    pairs = early.join(late, ["href", "salt"]).where("src < dst").select("src", "dst")
     n = own.groupBy("page_id").agg(F.count("*").alias("n"))
     e = pairs.groupBy("src", "dst").agg(F.count("*").alias("common")).join(n, F.col("src") == F.col("page_id")).select("src", "dst", (F.col("common") / F.col("n")).alias("trust"), F.lit(1.0).alias("intimacy"))
     lang = F.regexp_extract("url", r"://[^/]*/([a-z]{2})/", 1)
