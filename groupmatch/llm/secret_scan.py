@@ -19,8 +19,10 @@ KINDS = [("assign", ASSIGN, 2, 6), ("access", r"AKIA[A-Z0-9]{16,}", 0, 20), ("he
 LIVE = r"[A-Za-z0-9+/_-]{32,}"
 GUARD = r"""[A-Za-z0-9+/_-]{20,}|(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]"""
 PLACEHOLDERS = r"(?i)example|changeme|placeholder|your|dummy|xxxx|sample|\*\*|0000000|1234567"
+#: Values that are placeholders as a whole; other values of base kinds are masked unless many owners hold them.
+NAMED = r"(?i)^(?:example|changeme|placeholder|dummy|sample|x{4,}|0{7,}|123456(?:7(?:8(?:90?)?)?)?|AKIA[A-Z0-9]*EXAMPLE|your(?:[_.-]?(?:own|api|access|key|secret|token|password|passwd|value|here))*)[._=/+-]*$"
 MASK = "[SECRET]"
-_SPAN = "struct<start:int,kind:int,end:int,hash:string,looks:boolean>"
+_SPAN = "struct<start:int,kind:int,end:int,hash:string,looks:boolean,named:boolean>"
 
 
 def _spans(text: Column, kind: int, pattern: str, group: int, least: int) -> Column:
@@ -35,7 +37,7 @@ def _spans(text: Column, kind: int, pattern: str, group: int, least: int) -> Col
         start = acc["at"] + F.length(x["p"])
         end = start + F.length(x["m"])
         looks = (F.length(x["v"]) >= 16) & (F.size(F.array_distinct(F.split(x["v"], ""))) >= 10) & ~x["v"].rlike(PLACEHOLDERS)
-        span = F.struct(start.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), F.sha2(x["v"], 256).alias("hash"), looks.alias("looks"))
+        span = F.struct(start.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), F.sha2(x["v"], 256).alias("hash"), looks.alias("looks"), x["v"].rlike(NAMED).alias("named"))
         return F.struct(end.alias("at"), F.when(F.length(x["v"]) >= least, F.concat(acc["out"], F.array(span))).otherwise(acc["out"]).alias("out"))
 
     empty = F.array().cast(f"array<{_SPAN}>")
@@ -61,11 +63,13 @@ def ownership(found: DataFrame) -> DataFrame:
     return by_owner.groupBy("hash").agg(F.count("*").alias("n_owners"), F.sum("n").alias("n_repositories"))
 
 
-def judged_spans(found: DataFrame, max_owners: int) -> DataFrame:
-    """(row, spans): the spans of each row with `live` set by ownership and looks."""
+def judged_spans(found: DataFrame, max_owners: int, short: bool = False) -> DataFrame:
+    """(row, spans): the spans of each row with `live` set by ownership and looks; with `short`, ownership
+    alone decides on base spans that aren't placeholders as a whole, so short values count too."""
     rows = found.where(F.size("spans") > 0).select("row", F.explode("spans").alias("s")).select("row", "s.*")
     seen = ownership(found.where(F.size("spans") > 0))
-    judged = rows.join(seen, "hash").withColumn("live", F.col("looks") & (F.col("n_owners") <= max_owners))
+    looks = F.when(F.col("kind") < len(KINDS), ~F.col("named")).otherwise(F.col("looks")) if short else F.col("looks")
+    judged = rows.join(seen, "hash").withColumn("live", looks & (F.col("n_owners") <= max_owners))
     span = F.struct("start", "kind", "end", "live", "n_owners", "n_repositories")
     return judged.groupBy("row").agg(F.array_sort(F.collect_list(span)).alias("judged"))
 
@@ -108,14 +112,15 @@ def scan(docs: DataFrame, owner: str = "source", repository: str = "doc_id", max
 
 
 def mask(docs: DataFrame, owner: str = "source", repository: str = "doc_id", max_owners: int = 2) -> DataFrame:
-    """The documents with every live span replaced by a mask; n_chars follows where it exists.
+    """The documents with every live span replaced by a mask; n_chars follows where it exists. Base spans of few
+    owners are live from their least length on, unless the whole value is a placeholder.
 
     Only documents that may hold a secret are written and joined; the others pass unchanged."""
     suspect = F.coalesce(F.col("text").rlike(GUARD), F.lit(False))
     names = docs.columns
     held = [F.struct(*(F.col(c) for c in names)).alias("given")]
     found = _found(docs.where(suspect), held, owner, repository)
-    live = judged_spans(found, max_owners).select("row", F.filter("judged", lambda x: x["live"]).alias("live")).where(F.size("live") > 0)
+    live = judged_spans(found, max_owners, short=True).select("row", F.filter("judged", lambda x: x["live"]).alias("live")).where(F.size("live") > 0)
     text = F.col("given.text")
 
     def step(acc, x):

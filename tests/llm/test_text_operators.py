@@ -180,6 +180,17 @@ def test_secrets(spark):
     assert len(secret_scan.mask(table(spark, rows)).collect()) == len(rows) and secret_scan.scan(table(spark, [])).count() == 0
 
 
+def test_short_secrets_are_masked(spark):
+    """Owner-specific values go from six characters on and with few distinct characters; placeholders stay."""
+    few = "abc123abc123abc123abc123"
+    values = ["hunter2secret", "s3cr3t", few, "myexamplecode9"]
+    kept = ["changeme", "xxxxxxxx", "your_api_key", "common7"]
+    rows = [(i, f"a password: {v} b", "en", "s1") for i, v in enumerate(values + kept)] + [(20 + i, "password: common7", "en", f"t{i}") for i in range(3)]
+    masked = {r.doc_id: r.text for r in secret_scan.mask(table(spark, rows)).collect()}
+    assert all(masked[i] == f"a {secret_scan.MASK} b" for i in range(4))
+    assert all(masked[4 + i] == f"a password: {v} b" for i, v in enumerate(kept))
+
+
 def test_bpe_equals_library(spark):
     import public_tokenizers
     from tokenizers import Tokenizer
