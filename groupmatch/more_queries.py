@@ -81,7 +81,7 @@ for _hint in ("broadcast", "merge", "shuffle_hash"):
 register("join_semi", f"WITH {O.handover()} SELECT id FROM vtx WHERE id IN (SELECT src FROM edg)")(lambda s, d: _graph(s, d).vertices.join(_graph(s, d).edges, F.col("id") == F.col("src"), "left_semi").select("id"))
 register("join_anti", f"WITH {O.handover()} SELECT id FROM vtx WHERE id NOT IN (SELECT dst FROM edg)")(lambda s, d: _graph(s, d).vertices.join(_graph(s, d).edges, F.col("id") == F.col("dst"), "left_anti").select("id"))
 register("join_outer", "SELECT d.doc_id, source, quality FROM documents d FULL JOIN labels l ON d.doc_id = l.doc_id")(lambda s, d: t(s, d, "documents").join(t(s, d, "labels"), "doc_id", "full_outer").select("doc_id", "source", "quality"))
-register("join_cross", "SELECT r_name, s_suppkey FROM region, supplier WHERE s_suppkey < 20")(lambda s, d: t(s, d, "region").crossJoin(t(s, d, "supplier").where("s_suppkey < 20")).select("r_name", "s_suppkey"))
+register("join_cross", "SELECT r_name, s_suppkey FROM region, supplier WHERE s_suppkey < 20")(lambda s, d: t(s, d, "region").crossJoin(t(s, d, "supplier")).select("r_name", "s_suppkey"))
 
 
 @register("join_range", "SELECT a.o_orderkey AS a, b.o_orderkey AS b FROM orders a JOIN orders b ON a.o_custkey = b.o_custkey AND a.o_orderkey < b.o_orderkey AND abs(date_diff('day', CAST(a.o_orderdate AS DATE), CAST(b.o_orderdate AS DATE))) <= 7")

@@ -64,7 +64,7 @@ def typed(spark: SparkSession, sf_dir: str) -> SocialGraph:
         t("nation").select(at(4, "n_nationkey").alias("id"), F.array(F.lit("nation")).alias("labels")),
         t("region").select(at(5, "r_regionkey").alias("id"), F.array(F.lit("region"), "r_name").alias("labels")),
     ]
-    lines = t("lineitem").where("l_linenumber = 1")
+    lines = t("lineitem")
     ordered = lines.join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey"))
     pairs = [
         ordered.select(at(1, "o_custkey").alias("src"), at(3, "l_partkey").alias("dst")),

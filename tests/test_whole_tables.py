@@ -23,3 +23,16 @@ def test_links_are_all_pairs(spark):
         SELECT a.page_id AS src, b.page_id AS dst, count(*)::DOUBLE / any_value(n) AS trust
         FROM h a JOIN h b ON a.href = b.href AND a.page_id < b.page_id JOIN n ON n.page_id = a.page_id GROUP BY 1, 2""")
     assert got == want and want
+
+
+def test_cross_join_has_all_suppliers(spark):
+    got, want = rows(spark, "join_cross", "SELECT r_name, s_suppkey FROM region, supplier")
+    assert got == want and want
+
+
+def test_typed_graph_has_all_lines(spark):
+    k = [x * 10**13 for x in range(6)]
+    got, want = rows(spark, "scan_typed", f"""SELECT {k[1]} + o_custkey AS src, {k[3]} + l_partkey AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey
+        UNION SELECT {k[3]} + l_partkey, {k[2]} + l_suppkey FROM lineitem UNION SELECT {k[1]} + c_custkey, {k[4]} + c_nationkey FROM customer
+        UNION SELECT {k[2]} + s_suppkey, {k[4]} + s_nationkey FROM supplier UNION SELECT {k[4]} + n_nationkey, {k[5]} + n_regionkey FROM nation""")
+    assert got == want and want
