@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
 
 from pyspark.sql import DataFrame, Observation, SparkSession
@@ -27,12 +28,43 @@ def settle_counted(df: DataFrame, label: str = "table") -> tuple[DataFrame, int]
     return written, int(seen.get["n"])
 
 
+_lock = threading.Lock()
+
+
+def _written(spark: SparkSession) -> list[tuple[str, list]]:
+    """This application's tables: (folder, weak references to what reads it in the JVM)."""
+    context = spark.sparkContext
+    if not hasattr(context, "_groupmatch_written"):
+        context._groupmatch_written = []
+    return context._groupmatch_written
+
+
 def settle(df: DataFrame, label: str = "table") -> DataFrame:
-    """Write `df` to the shared folder and return the written table, which cuts the lineage."""
+    """Write `df` to the shared folder and return the written table, which cuts the lineage.
+
+    The files stay as long as some DataFrame or plan in the JVM can read them; those of tables that
+    were collected as garbage are deleted by the next call, the rest when the JVM ends."""
     spark = df.sparkSession
+    sweep(spark)
     place = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(place)
     jvm = spark.sparkContext._jvm
     path = jvm.org.apache.hadoop.fs.Path(place)
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(path)
-    return spark.read.schema(df.schema).parquet(place)
+    written = spark.read.schema(df.schema).parquet(place)
+    relation = written._jdf.queryExecution().analyzed().relation()
+    _written(spark).append((place, [jvm.java.lang.ref.WeakReference(x) for x in (relation, relation.location())]))
+    return written
+
+
+def sweep(spark: SparkSession) -> int:
+    """Delete written tables that nothing can read any more; their number."""
+    jvm = spark.sparkContext._jvm
+    with _lock:
+        every = _written(spark)
+        gone = [x for x in every if all(ref.get() is None for ref in x[1])]
+        every[:] = [x for x in every if x not in gone]
+    for place, _ in gone:
+        path = jvm.org.apache.hadoop.fs.Path(place)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return len(gone)
