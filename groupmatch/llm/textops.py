@@ -8,7 +8,8 @@ import numpy as np
 
 #: A word is a run without space, tab, line feed, vertical tab, form feed or carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
-PIECE = 1 << 20
+#: Bytes of text that are hashed together; small enough for a processor's cache.
+PIECE = 1 << 18
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BREAK = re.compile(rb"[\x20\x09-\x0D]")
@@ -127,3 +128,38 @@ def utf8(column) -> list[bytes]:
     import pyarrow as pa
 
     return [b"" if x is None else x for x in column.cast(pa.binary()).to_pylist()]
+
+
+def sliced(batch, column: int, limit: int = 4 << 20):
+    """Parts of an Arrow batch with about `limit` bytes of a string column each, or one longer row."""
+    import pyarrow.compute as pc
+
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64) + 64)
+    at = 0
+    while at < batch.num_rows:
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + limit, "right")))
+        yield batch.slice(at, to - at)
+        at = to
+
+
+def trimmed(run):
+    """A task's function that gives freed memory back at its end; worker processes outlive their tasks."""
+
+    def task(it):
+        yield from run(it)
+        del it
+        give_back()
+
+    return task
+
+
+def give_back() -> None:
+    """Return freed memory of this process to the system."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)

@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 import re
 from collections import Counter
@@ -71,7 +72,14 @@ def test_jaccard_keeps_one_and_empty_table(spark):
     rows = ODD + [(50, "a b c d e f g", "en", "a"), (51, "A B c d e f g", "en", "b")]
     kept = [r.doc_id for r in ngram_jaccard.keep_one(table(spark, rows)).collect()]
     assert sorted(k for k in kept if k) == [1, 2, 3, 4, 50] and None in kept
-    assert ngram_jaccard.jaccard_components(table(spark, [])).count() == 0
+    assert ngram_jaccard.jaccard_components(table(spark, [])).count() == 0 and ngram_jaccard.keep_one(table(spark, [])).count() == 0
+
+
+def test_jaccard_keeps_unlike_texts_of_one_number(spark):
+    words = "a b c d e f g h i j".split()
+    rows = [(1, " ".join(words), "en", "a"), (1, " ".join(reversed(words)), "en", "a"), (1, " ".join(words), "en", "b"), (None, " ".join(words), "en", "c"), (2, "z " * 9, "en", "a"), (2, "z " * 9, "en", "a"), (7, "", "en", "a"), (7, "", "en", "a")]
+    kept = Counter((r.doc_id, r.text) for r in ngram_jaccard.keep_one(table(spark, rows)).collect())
+    assert kept == {(1, rows[0][1]): 1, (1, rows[1][1]): 1, (2, "z " * 9): 1, (7, ""): 2}
 
 
 def test_base_rules_equal_brute_force(spark):
@@ -96,12 +104,72 @@ def test_base_rules_equal_brute_force(spark):
     assert not any(r.kept for r in out if r.base_failed)
 
 
-def test_perplexity_model_sums_to_one():
-    codes, _ = perplexity.gram_codes([b"the cat sat on the mat. " * 5, b"a dog ran"])
-    model = perplexity.SortedModel(*perplexity._counted(codes))
-    for context in (0, int(codes[5]) & 0x3FFFF, 0x3FFFF):
-        p = np.exp(model.log_p((np.int64(context) << 6) | np.arange(64)))
-        assert abs(p.sum() - 1) < 1e-4
+def kneser_ney(texts, reach=5):
+    """log p of every 5-gram's last character by modified Kneser-Ney, from the definitions."""
+    pad = chr(perplexity.PAD)
+    grams = Counter()
+    for t in texts:
+        s = pad * (reach - 1) + t + pad
+        grams.update(s[k : k + reach] for k in range(len(s) - reach + 1))
+    counts = {reach: grams}
+    for k in range(reach - 1, 0, -1):
+        counts[k] = Counter(g[1:] for g in counts[k + 1])
+    lower = {"": 1.0 / len(counts[1])}
+    for k in range(1, reach + 1):
+        seen = Counter(counts[k].values())
+        d = [0, 0.5, 0.5, 0.5]
+        if seen[1] and seen[2]:
+            y = seen[1] / (seen[1] + 2 * seen[2])
+            d = [0] + [min(max(j - (j + 1) * y * seen[j + 1] / seen[j] if seen[j] else 0.5, 0.05), j - 0.05) for j in (1, 2, 3)]
+        total, mass = Counter(), Counter()
+        for g, n in counts[k].items():
+            total[g[:-1]] += n
+            mass[g[:-1]] += d[min(n, 3)]
+        lower = {g: max(n - d[min(n, 3)], 0) / total[g[:-1]] + mass[g[:-1]] / total[g[:-1]] * lower[g[1:] if k > 1 else ""] for g, n in counts[k].items()}
+    return {g: math.log(p) for g, p in lower.items()}
+
+
+@pytest.mark.parametrize("broadcast_rows", [perplexity.BROADCAST_ROWS, 0])
+def test_perplexity_equals_brute_force(spark, broadcast_rows):
+    """Scores, both bounds and verdicts, with the model broadcast and with documents in chunks."""
+    rng = random.Random(5)
+    stock = {"en": "the cat sat on a mat while dogs ran far away from home".split(), "ru": "кот дом вода небо город снег 日本".split(), None: "x yy zzz".split()}
+    rows = ODD + [(10 + i, " ".join(rng.choice(stock[x]) for _ in range(rng.randrange(10, 40))), x, "s") for i in range(90) for x in [rng.choice(list(stock))]]
+    rows += [(500, "qzx#" * 30 + " q z x v k j p w g y", "en", "s"), (501, "on a mat " * 3 + "while dogs ran far", "en", "s"), rows[20]]
+    got = perplexity.judge(table(spark, rows), 3.5, broadcast_rows=broadcast_rows).collect()
+    assert len(got) == len(rows)
+    by = {}
+    for r in rows:
+        by.setdefault(r[2] or "", []).append(r[1] or "")
+    pad, scores = chr(perplexity.PAD), {}
+    for lang, texts in by.items():
+        log_p = kneser_ney([t for t in texts if t])
+        for t in texts:
+            s = pad * 4 + t + pad
+            scores[lang, t] = -sum(log_p[s[k : k + 5]] for k in range(len(s) - 4)) / (len(s) - 4) if t else None
+    bounds = {}
+    for lang in by:
+        cells = sorted(round(scores[lang, t] * 1000) for t in {r.text for r in got if (r.lang or "") == lang and not r.base_failed})
+        if cells:
+            m = cells[(len(cells) - 1) // 2]
+            s = max(1.4826 * sorted(abs(c - m) for c in cells)[(len(cells) - 1) // 2], 2.0)
+            bounds[lang] = ((m - 3.5 * s) / 1000, (m + 3.5 * s) / 1000)
+    low = high = 0
+    for r in got:
+        want = scores[r.lang or "", r.text or ""]
+        assert (r.log_ppl is None and want is None) or abs(r.log_ppl - want) < 1e-5
+        a, b = bounds.get(r.lang or "", (-math.inf, math.inf))
+        assert abs(r.lower - a) < 1e-6 or r.lower == a
+        assert abs(r.upper - b) < 1e-6 or r.upper == b
+        assert r.kept == (not r.base_failed and (want is None or a <= r.log_ppl <= b))
+        low, high = low + (want is not None and want < a and not r.base_failed), high + (want is not None and want > b and not r.base_failed)
+    assert high and perplexity.judge(table(spark, []), broadcast_rows=broadcast_rows).count() == 0
+
+
+def test_reject_keeps_columns(spark):
+    rows = ODD + [(10 + i, " ".join(random.Random(i).choices("one two three four five six seven".split(), k=12)), "en", "a") for i in range(20)]
+    out = perplexity.reject(table(spark, rows))
+    assert out.columns == ["doc_id", "text", "lang", "source", "n_words"] and {r.n_words for r in out.collect()} == {7}
 
 
 def test_perplexity_rejects_gibberish(spark):
