@@ -30,8 +30,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, IntegerType, LongType, StructField, StructType
 
 from .components import merge_labels
-from .durable import settle
-from .textops import LOWER, distinct, mix, take_spans, utf8, windows, words_by_text
+from groupmatch.durable import settle
+from .textops import LOWER, distinct, mix, sliced, take_spans, trimmed, utf8, windows, words_by_text
 
 FLUSH = 1 << 20
 _MASK = np.uint64((1 << 48) - 1)
@@ -112,7 +112,7 @@ def _packed(keys, lengths, grams, parts):
 def _segment_rows(n: int, parts: int):
     def run(it):
         sent: set[int] = set()
-        for batch in it:
+        for batch in (part for whole in it for part in sliced(whole, 1, 16 << 20)):
             ids, texts = batch.column(0).to_pylist(), utf8(batch.column(1))
             rows, held, size = [], [], 0
 
@@ -358,7 +358,7 @@ def _summed_rows(it):
 
 
 def _summed(counted: DataFrame, parts: int) -> DataFrame:
-    return counted.repartitionById(parts, F.col("bucket")).mapInArrow(_summed_rows, "key long, other long, n long")
+    return counted.repartitionById(parts, F.col("bucket")).mapInArrow(trimmed(_summed_rows), "key long, other long, n long")
 
 
 def _vote_rows(parts: int):
@@ -439,16 +439,16 @@ def _dealt(sets: DataFrame, number: Column, parts: int, sized: bool = False) ->
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()))], names=["part", "keys", "counts", "hashes", "more"])
 
     given = sets.select("key", "n", number.cast("long").alias("more"), "grams")
-    return given.mapInArrow(run, "part int, keys binary, counts binary, hashes binary, more binary").repartitionById(parts, F.col("part"))
+    return given.mapInArrow(trimmed(run), "part int, keys binary, counts binary, hashes binary, more binary").repartitionById(parts, F.col("part"))
 
 
 def sets_and_classes(docs: DataFrame, n: int, percent: int, parts: int):
     """(documents: doc_id, n, key), (classes that may link: key, n, n_shared, grams)."""
-    segments = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_segment_rows(n, parts), _SEGMENTS)
-    one = settle(segments.repartitionById(parts, F.col("part")).mapInArrow(_shared_rows(parts), _SHARED), "jaccard-shared")
+    segments = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(trimmed(_segment_rows(n, parts)), _SEGMENTS)
+    one = settle(segments.repartitionById(parts, F.col("part")).mapInArrow(trimmed(_shared_rows(parts)), _SHARED), "jaccard-shared")
     members = one.where("keys IS NULL").select("doc_id", "n", "key")
     shared = one.where("keys IS NOT NULL").select("bucket", "part", *(f.name for f in _BLOBS))
-    sets = shared.repartitionById(parts, F.col("bucket")).mapInArrow(_set_rows(percent), "key long, n long, n_shared long, grams array<long>")
+    sets = shared.repartitionById(parts, F.col("bucket")).mapInArrow(trimmed(_set_rows(percent)), "key long, n long, n_shared long, grams array<long>")
     return members, settle(sets, "jaccard-sets")
 
 
@@ -456,10 +456,10 @@ def link_labels(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     """(key, label): classes joined by a chain of links have one label."""
     # Best placed: a large share of common n-grams, as the text that others were copied from has.
     rank = F.lit(10**6) - (F.col("n_shared") * 10**6 / F.col("n")).cast("long")
-    votes = _summed(_dealt(sets, rank, parts).mapInArrow(_vote_rows(parts), _COUNTS), parts)
+    votes = _summed(_dealt(sets, rank, parts).mapInArrow(trimmed(_vote_rows(parts)), _COUNTS), parts)
     tally = settle(votes.select("key", F.col("other").alias("holder")), "jaccard-votes")
     named = settle(sets.join(tally, "key", "left").select("key", "n", "grams", F.coalesce("holder", F.lit(0)).alias("holder")), "jaccard-named")
-    common = _summed(_dealt(named, F.col("holder"), parts).mapInArrow(_overlap_rows(parts), _COUNTS), parts).select("key", F.col("n").alias("common"))
+    common = _summed(_dealt(named, F.col("holder"), parts).mapInArrow(trimmed(_overlap_rows(parts)), _COUNTS), parts).select("key", F.col("n").alias("common"))
     size = named.select(F.col("key").alias("y"), F.col("n").alias("m"))
     pairs = common.join(named.select("key", "n", "holder"), "key").join(size, F.col("holder") == F.col("y"))
     links = pairs.where(F.col("common") * 100 >= (F.col("n") + F.col("m") - F.col("common")) * percent).select(F.col("key").alias("x"), "y")
@@ -478,8 +478,8 @@ def _rest(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     Similar classes under different labels share a prefix n-gram, so they are in one component of the
     classes by prefix n-grams. Components are cut into squares of SIDE by SIDE classes; a task compares
     its square by products of incidence matrices and returns links that join more labels only."""
-    outside = _dealt(sets, F.col("label"), parts, sized=True).mapInArrow(_outside_rows(parts), _SHARED).select("bucket", "part", *(f.name for f in _BLOBS))
-    prefixes = settle(outside.repartitionById(parts, F.col("bucket")).mapInArrow(_prefix_rows(percent), "key long, gram long"), "jaccard-prefixes")
+    outside = _dealt(sets, F.col("label"), parts, sized=True).mapInArrow(trimmed(_outside_rows(parts)), _SHARED).select("bucket", "part", *(f.name for f in _BLOBS))
+    prefixes = settle(outside.repartitionById(parts, F.col("bucket")).mapInArrow(trimmed(_prefix_rows(percent)), "key long, gram long"), "jaccard-prefixes")
     heads = prefixes.groupBy("gram").agg(F.min("key").alias("y"))
     edges = prefixes.join(heads, "gram").where("key <> y").select(F.col("key").alias("x"), "y").distinct()
     edges = settle(edges, "jaccard-edges")
@@ -566,8 +566,8 @@ def jaccard_components(docs: DataFrame, n: int = 4, percent: int = 85, parts: in
     n-grams (A-Z lower-cased; a text of fewer words is one n-gram). Null, empty and blank
     texts have an empty set and link with nothing. component_id is the smallest doc_id reachable
     by links; rows with null doc_id keep null unless a linked row has one. Repeated rows are
-    returned as often as they come. Sets are compared by 64-bit hashes of n-grams (48 bits
-    and the fragment), classes by a 64-bit key. `parts`: fragments, by default
+    returned as often as they come. An empty table gives an empty result. Sets are compared by hashes of n-grams,
+    48 bits and the fragment's (50 bits with 4 fragments, 63 with 32,768), classes by a 64-bit key. `parts`: fragments, by default
     spark.sql.shuffle.partitions; a fragment should hold a few million n-grams.
     """
     spark = docs.sparkSession
@@ -583,10 +583,22 @@ def jaccard_components(docs: DataFrame, n: int = 4, percent: int = 85, parts: in
 
 
 def keep_one(docs: DataFrame, n: int = 4, percent: int = 85) -> DataFrame:
-    """The documents with one of each component kept: that with the smallest doc_id.
-
-    Rows that repeat a doc_id count as copies and one of them stays; rows without a doc_id stay."""
-    found = jaccard_components(docs, n, percent)
-    heads = found.where("doc_id IS NULL OR doc_id = component_id").select("doc_id").where("doc_id IS NOT NULL").distinct()
-    kept = docs.join(heads, "doc_id", "left_semi")
-    return kept.dropDuplicates(["doc_id"]).unionByName(docs.where("doc_id IS NULL")).select(*docs.columns)
+    """The documents with one row of each component kept: a row with its smallest doc_id.
+
+    Rows are told apart by all their columns, not by doc_id: two unlike texts under one doc_id both stay,
+    equal rows with words are copies of each other. Rows with an empty set (null, empty and
+    blank texts) link with nothing and stay, each of them. Null doc_ids come last, ties go by a hash of the row, so
+    reruns agree. An empty table stays empty."""
+    names = docs.columns
+    given = docs.withColumn("__row", F.xxhash64(*names))
+    found = jaccard_components(given.select(F.col("__row").alias("doc_id"), "text"), n, percent)
+    per = found.groupBy(F.col("doc_id").alias("__row")).agg(F.min("component_id").alias("component"), F.max("n_shingles").alias("size"), F.count("*").alias("rows"))
+    numbers = given.groupBy("__row").agg(F.min(F.col("doc_id").cast("long")).alias("id"))
+    rows = settle(per.join(numbers, "__row"), "jaccard-rows")
+    order = F.struct(F.col("id").isNull().alias("a"), F.col("id").alias("b"), F.col("__row").alias("c"))
+    heads = rows.where("size > 0").groupBy("component").agg(F.min_by(F.struct("__row", "rows"), order).alias("head")).select("head.*")
+    heads = settle(heads.unionByName(rows.where("size = 0").select("__row", F.lit(1).cast("long").alias("rows"))), "jaccard-heads")
+    kept = given.join(heads, "__row")
+    # Equal rows are rare but may be many: each task keeps one of them before they meet.
+    once = kept.where("rows > 1").withColumn("__text", F.sha2("text", 256)).dropDuplicates(["__row", "__text"])
+    return kept.where("rows = 1").select(*names).unionByName(once.select(*names))
