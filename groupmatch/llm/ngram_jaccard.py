@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import BinaryType, IntegerType, LongType, StructField, StructType
 
 from .components import merge_labels
-from groupmatch.durable import settle
+from groupmatch.durable import settle, settle_counted
 from .textops import LOWER, distinct, mix, sliced, take_spans, trimmed, utf8, windows, words_by_text
 
 FLUSH = 1 << 20
@@ -452,19 +452,27 @@ def sets_and_classes(docs: DataFrame, n: int, percent: int, parts: int):
     return members, settle(sets, "jaccard-sets")
 
 
+#: Rows of two numbers that are sent to every task, so that the sets they join with stay in place.
+NARROW_ROWS = 1 << 20
+
+
+def _narrow(rows: DataFrame, count: int) -> DataFrame:
+    return F.broadcast(rows) if count <= NARROW_ROWS else rows
+
+
 def link_labels(sets: DataFrame, percent: int, parts: int) -> DataFrame:
     """(key, label): classes joined by a chain of links have one label."""
     # Best placed: a large share of common n-grams, as the text that others were copied from has.
     rank = F.lit(10**6) - (F.col("n_shared") * 10**6 / F.col("n")).cast("long")
     votes = _summed(_dealt(sets, rank, parts).mapInArrow(trimmed(_vote_rows(parts)), _COUNTS), parts)
-    tally = settle(votes.select("key", F.col("other").alias("holder")), "jaccard-votes")
+    tally = _narrow(*settle_counted(votes.select("key", F.col("other").alias("holder")), "jaccard-votes"))
     named = settle(sets.join(tally, "key", "left").select("key", "n", "grams", F.coalesce("holder", F.lit(0)).alias("holder")), "jaccard-named")
     common = _summed(_dealt(named, F.col("holder"), parts).mapInArrow(trimmed(_overlap_rows(parts)), _COUNTS), parts).select("key", F.col("n").alias("common"))
     size = named.select(F.col("key").alias("y"), F.col("n").alias("m"))
     pairs = common.join(named.select("key", "n", "holder"), "key").join(size, F.col("holder") == F.col("y"))
     links = pairs.where(F.col("common") * 100 >= (F.col("n") + F.col("m") - F.col("common")) * percent).select(F.col("key").alias("x"), "y")
     labels = merge_labels(sets.select("key", F.col("key").alias("label")), settle(links, "jaccard-links"))
-    labelled = settle(sets.join(labels, "key").select("key", "n", "grams", "label"), "jaccard-labelled")
+    labelled = settle(sets.join(_narrow(labels, labels.count()), "key").select("key", "n", "grams", "label"), "jaccard-labelled")
     rest = _rest(labelled, percent, parts)
     return merge_labels(labels, settle(rest, "jaccard-links"))
 
