@@ -21,8 +21,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textops import PIECE, _tables, batches, mix, take_spans, utf8
+from .textops import PIECE, _tables, batches, give_back, mix, sliced, take_spans, trimmed, utf8
 
+#: Bytes of text that are split and merged together; a longer text is taken alone.
+GROUP = PIECE
 _LETTER, _NUMBER, _BLANK, _REST = 0, 1, 2, 3
 _kinds: list[np.ndarray] = []
 #: The Unicode white space property.
@@ -108,6 +110,7 @@ class Vocabulary:
 
     def __init__(self, raw: bytes):
         spec = json.loads(raw)
+        # Bytes that stand for themselves in a token's letters.
         printable = [*range(33, 127), *range(161, 173), *range(174, 256)]
         letters = {b: chr(b) for b in printable}
         for k, b in enumerate(x for x in range(256) if x not in letters):
@@ -300,7 +303,7 @@ class Encoder:
 
     def _plain(self, texts: list[bytes]) -> list[np.ndarray]:
         out = []
-        for group in batches(texts, 4 * PIECE):
+        for group in batches(texts, GROUP):
             buffer, begin, length, firsts = words_of([texts[i] for i in group])
             hashes = span_hashes(buffer, begin, length)
             _, first, inverse = np.unique(hashes, return_index=True, return_inverse=True)
@@ -331,8 +334,7 @@ def _frequent_rows(capacity: int):
     def run(it):
         names: dict[int, bytes] = {}
         hashes, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        for batch in it:
-            texts = utf8(batch.column(0))
+        for texts in (utf8(part.column(0)) for batch in it for part in sliced(batch, 0)):
             for group in batches(texts, 4 * PIECE):
                 buffer, begin, length, _ = words_of([texts[i] for i in group])
                 h, first, n = np.unique(span_hashes(buffer, begin, length), return_index=True, return_counts=True)
@@ -357,10 +359,24 @@ def _frequent_rows(capacity: int):
 
 def frequent_words(docs: DataFrame, size: int, capacity: int = 1 << 15) -> list[bytes]:
     """Up to `size` frequent words of all texts (frequencies steer speed only, never ids)."""
-    counted = docs.select("text").mapInArrow(_frequent_rows(capacity), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    counted = docs.select("text").mapInArrow(trimmed(_frequent_rows(capacity)), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
     return [bytes(r["word"]) for r in counted.orderBy(F.desc("n"), "word").limit(size).collect()]
 
 
+_encoders: dict[bytes, Encoder] = {}
+
+
+def _encoder(raw: bytes, block: bytes, kinds: bytes) -> Encoder:
+    """The encoder of this worker process, which keeps the last one."""
+    key = hashlib.sha256(raw + block).digest()
+    if key not in _encoders:
+        if not _kinds:
+            _kinds.append(np.frombuffer(kinds, np.uint8))
+        _encoders.clear()
+        _encoders[key] = Encoder(Vocabulary(raw), Lexicon(block))
+    return _encoders[key]
+
+
 def encode(docs: DataFrame, vocabulary_file: str, lexicon_size: int = 1 << 14, digests: bool = False) -> DataFrame:
     """The columns of `docs`, then ids array<int> and n_tokens; with `digests`, doc_id, n_tokens and
     SHA-256 of the ids (little-endian 32 bits) and of the decoded text instead.
@@ -370,28 +386,25 @@ def encode(docs: DataFrame, vocabulary_file: str, lexicon_size: int = 1 << 14, d
     with open(vocabulary_file, "rb") as f:
         raw = f.read()
     block = compile_lexicon(frequent_words(docs, lexicon_size), Vocabulary(raw))
-    held = docs.sparkSession.sparkContext.broadcast((raw, block))
+    held = docs.sparkSession.sparkContext.broadcast((raw, block, kind_table().tobytes()))
+    give_back()
     docs = docs.select("doc_id", "text") if digests else docs.drop("ids", "n_tokens")
-    columns = docs.columns
+    columns = ["doc_id"] if digests else docs.columns
+    keep, text = [docs.columns.index(c) for c in columns], docs.columns.index("text")
     names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["n_tokens", "ids"]
 
     def run(it):
-        raw, block = held.value
-        encoder = Encoder(Vocabulary(raw), Lexicon(block))
-        for batch in it:
-            texts = utf8(batch.column(len(columns)))
-            for a in range(0, len(texts), 1000):
-                ids = encoder.encode(texts[a : a + 1000])
-                n = pa.array([len(x) for x in ids], pa.int64())
-                if digests:
-                    out = [n, pa.array([hashlib.sha256(x.astype("<u4").tobytes()).hexdigest() for x in ids]), pa.array([hashlib.sha256(encoder.decode(x)).hexdigest() for x in ids])]
-                    kept = [batch.column(0).slice(a, 1000)]
-                else:
-                    out = [n, pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32()))]
-                    kept = [batch.column(k).slice(a, 1000) for k in range(len(columns))]
-                yield pa.RecordBatch.from_arrays([*kept, *out], names=[*(["doc_id"] if digests else columns), *names])
+        encoder = _encoder(*held.value)
+        for part in (part for batch in it for part in sliced(batch, text)):
+            ids = encoder.encode(utf8(part.column(text)))
+            sizes = np.array([len(x) for x in ids], np.int64)
+            if digests:
+                own = [pa.array([hashlib.sha256(x.astype("<u4").tobytes()).hexdigest() for x in ids]), pa.array([hashlib.sha256(encoder.decode(x)).hexdigest() for x in ids])]
+            else:
+                own = [pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(np.concatenate(ids).astype(np.int32)))]
+            yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), pa.array(sizes), *own], names=[*columns, *names])
 
     fields = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
     if not digests:
         fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields) + ", n_tokens long, ids array<int>"
-    return docs.select("*", F.col("text").alias("__text")).mapInArrow(run, fields)
+    return docs.mapInArrow(trimmed(run), fields)
