@@ -12,13 +12,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .durable import settle
+from groupmatch.durable import settle, settle_counted
 from .textops import WORD
 
 #: Weight of sources in code-point order, and intensity at even steps of time, both repeating.
 WEIGHTS = (3.0, 1.0, 2.0)
 SCHEDULES = ((0.5, 1.0, 1.5), (1.0, 1.0, 1.0), (1.5, 1.0, 0.5))
-BUCKET_BITS = 12
+#: Rows that a hash bucket holds on average, and most bits of a bucket's number (all buckets of a source meet in one task).
+BUCKET_ROWS, MOST_BITS = 64, 20
 
 
 def word_count(text: Column) -> Column:
@@ -84,25 +85,30 @@ def demanded_at(share: Column, schedule: Column, knots: int) -> Column:
     return out
 
 
-def planned(docs: DataFrame) -> DataFrame:
-    """Rows with __size and __order (a hash) -> and source_size, target, start, taken, schedule."""
-    bucket = F.shiftrightunsigned("__order", 64 - BUCKET_BITS).alias("__bucket")
-    sums = settle(docs.select("source", bucket, "__size").groupBy("source", "__bucket").agg(F.sum("__size").alias("words")), "mix-buckets")
-    sources = targets(sums.groupBy("source").agg(F.sum("words").alias("source_size")))
-    per = Window.partitionBy("source").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
+def bucket_bits(rows: int) -> int:
+    return min(MOST_BITS, max(6, (rows // BUCKET_ROWS).bit_length()))
+
+
+def planned(docs: DataFrame, bits: int) -> DataFrame:
+    """Rows with __size and __order (a hash) -> and source_size, target, start, taken, schedule.
+
+    Both joins and the window are by one key without nulls, so that rows are dealt out once."""
+    bucket = F.shiftrightunsigned("__order", 64 - bits).alias("__bucket")
+    keyed = docs.withColumn("__key", F.coalesce(F.concat(F.lit("="), "source"), F.lit("")))
+    sums = settle(keyed.select("__key", "source", bucket, "__size").groupBy("__key", "source", "__bucket").agg(F.sum("__size").alias("words")), "mix-buckets")
+    sources = targets(sums.groupBy("__key", "source").agg(F.sum("words").alias("source_size"))).drop("source")
+    per = Window.partitionBy("__key").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     offsets = sums.withColumn("before", F.coalesce(F.sum("words").over(per), F.lit(0)))
-    plan = offsets.join(sources, offsets["source"].eqNullSafe(sources["source"])).select(offsets["source"].alias("__source"), F.col("__bucket").alias("__b"), "before", "source_size", "target", "schedule")
-    plan = settle(plan, "mix-plan")
-    rows = docs.withColumn("__bucket", bucket)
-    inside = Window.partitionBy("source", "__bucket").orderBy("__order", "doc_id", "__size").rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("__local", F.coalesce(F.sum("__size").over(inside), F.lit(0)))
-    rows = rows.join(plan, F.col("source").eqNullSafe(F.col("__source")) & (F.col("__bucket") == F.col("__b")))
+    plan = settle(offsets.join(sources, "__key").select("__key", "__bucket", "before", "source_size", "target", "schedule"), "mix-plan")
+    rows = keyed.withColumn("__bucket", bucket)
+    inside = Window.partitionBy("__key", "__bucket").orderBy("__order", "doc_id", "__size").rowsBetween(Window.unboundedPreceding, -1)
+    rows = rows.withColumn("__local", F.coalesce(F.sum("__size").over(inside), F.lit(0))).join(plan, ["__key", "__bucket"])
     size, total = F.col("source_size"), F.round("target").cast("long")
     passes = F.when(size > 0, F.floor(total / size)).otherwise(0).cast("long")
     rows = rows.withColumn("start", F.col("before") + F.col("__local")).withColumn("passes", passes)
     last = F.least(F.greatest(total - F.col("passes") * size - F.col("start"), F.lit(0)), F.col("__size"))
     rows = rows.withColumn("last", last.cast("long")).withColumn("taken", F.col("passes") * F.col("__size") + F.col("last"))
-    return rows.drop("__bucket", "__local", "__source", "__b", "before")
+    return rows.drop("__bucket", "__local", "__key", "before")
 
 
 def _time(number: Column, words: Column) -> Column:
@@ -116,15 +122,20 @@ def _order(doc_id: Column, text: Column) -> Column:
 
 
 def mix(docs: DataFrame) -> DataFrame:
-    """(doc_id, size, source_size, target, taken, position): a row for each document.
+    """(doc_id, size, source_size, target, taken, position): a row for each document, range-sorted by position.
 
     position is the time in 0..1 of the document's first use, null if it isn't used. Null and
     blank texts have size 0 and take nothing; a null source is a source of its own, last in order.
     Repeated rows are taken each. The order within a source is a hash of doc_id and text."""
     narrow = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("__size"), _order(F.col("doc_id"), F.col("text")).alias("__order"))
-    rows = planned(settle(narrow, "mix-sizes"))
+    narrow, count = settle_counted(narrow, "mix-sizes")
+    rows = planned(narrow, bucket_bits(count))
     first = F.when(F.col("passes") > 0, F.col("__size")).otherwise(F.col("last"))
-    return rows.select("doc_id", F.col("__size").alias("size"), "source_size", "target", "taken", F.when(F.col("taken") > 0, _time(F.lit(0), first)).alias("position"))
+    rows = rows.select("doc_id", F.col("__size").alias("size"), "source_size", "target", "taken", F.when(F.col("taken") > 0, _time(F.lit(0), first)).alias("position"))
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # Unused documents have no position; their numbers spread them.
+    at = [F.col("position").asc_nulls_last(), F.col("doc_id")]
+    return rows.repartitionByRange(n, *at).sortWithinPartitions(*at)
 
 
 def train_order(docs: DataFrame) -> DataFrame:
@@ -134,7 +145,7 @@ def train_order(docs: DataFrame) -> DataFrame:
     blanks); n_chars follows where it exists. Columns are those of `docs`."""
     names = docs.columns
     given = docs.select(F.struct(*names).alias("given"), F.col("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("__size"), _order(F.col("doc_id"), F.col("text")).alias("__order"))
-    rows = planned(given).where("taken > 0")
+    rows = planned(given, bucket_bits(docs.count())).where("taken > 0")
     copies = F.expr("CASE WHEN last > 0 THEN sequence(0L, passes) ELSE sequence(0L, passes - 1) END")
     rows = rows.withColumn("number", F.explode(copies)).withColumn("words", F.when(F.col("number") < F.col("passes"), F.col("__size")).otherwise(F.col("last")))
     rows = rows.where("words > 0").withColumn("time", _time(F.col("number"), F.col("words")))
