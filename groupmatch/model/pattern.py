@@ -60,8 +60,11 @@ class MatchOptions:
     global_reduce: bool = True
     reverse_chain: bool = True
     edge_mode: str = "constrained"  # 'edge', 'path'
-    max_rounds: int = 100
-    max_rows: int | None = 50_000_000
+    #: The reduction without leaders stops after a round that removes at most this share of the links.
+    global_share: float = 0.1
+    max_rounds: int | None = None
+    #: Most pairs of leaders and candidates of a further source that strategy plain makes; None: any number.
+    max_rows: int | None = None
 
 
 @dataclass(frozen=True)

@@ -14,7 +14,7 @@ from groupmatch.functions import membership, udfs
 from groupmatch.model import GroupPattern, MembershipRule
 from groupmatch.model import pattern as P
 from groupmatch.operators import candidates, explore, paths, prune
-from groupmatch.queries import _LINK, _graph, register
+from groupmatch.queries import _LINK, _graph, graph_stats, register
 from groupmatch.sources import graphs, io
 
 _M = O.mixed
@@ -26,8 +26,8 @@ re AS (SELECT src, dst, sum(CASE WHEN l_returnflag = 'R' THEN 0.0 ELSE 1.0 END):
 register("scan_handover_real", f"WITH {_REAL} SELECT src, dst, trust, intimacy FROM re")(lambda s, d: graphs.handover_real(s, d).edges)
 register("scan_handover_real_vertices", f"WITH {_REAL} SELECT id, labels, influence FROM rv")(lambda s, d: graphs.handover_real(s, d).vertices)
 _K = [k * 10**13 for k in range(6)]
-_TYPED = f"""SELECT {_K[1]} + o_custkey AS src, {_K[3]} + l_partkey AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_linenumber = 1
-UNION SELECT {_K[3]} + l_partkey, {_K[2]} + l_suppkey FROM lineitem WHERE l_linenumber = 1 UNION SELECT {_K[1]} + c_custkey, {_K[4]} + c_nationkey FROM customer
+_TYPED = f"""SELECT {_K[1]} + o_custkey AS src, {_K[3]} + l_partkey AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey 
+UNION SELECT {_K[3]} + l_partkey, {_K[2]} + l_suppkey FROM lineitem UNION SELECT {_K[1]} + c_custkey, {_K[4]} + c_nationkey FROM customer
 UNION SELECT {_K[2]} + s_suppkey, {_K[4]} + s_nationkey FROM supplier UNION SELECT {_K[4]} + n_nationkey, {_K[5]} + n_regionkey FROM nation"""
 register("scan_typed", _TYPED)(lambda s, d: graphs.typed(s, d).edges.select("src", "dst"))
 _CLICK = "SELECT DISTINCT src, dst FROM (SELECT user_id AS src, lead(user_id) OVER (PARTITION BY date_trunc('hour', ts) ORDER BY ts, event_id) AS dst FROM events) WHERE dst IS NOT NULL AND src <> dst"
@@ -41,26 +41,45 @@ register("scan_similar", _SIM)(lambda s, d: graphs.similar(s, d).edges.select("s
 _TURN = "SELECT src, dst FROM (SELECT conv_id * 100000 + turn AS src, lead(conv_id * 100000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst FROM conversations) WHERE dst IS NOT NULL"
 register("scan_turns", _TURN)(lambda s, d: graphs.turns(s, d).edges.select("src", "dst"))
 _LINKS = """WITH h AS (SELECT page_id, unnest(list_distinct(regexp_extract_all(html, 'href="([^"]*)"', 1))) AS href FROM pages),
-p AS (SELECT page_id AS src, lead(page_id) OVER (PARTITION BY href ORDER BY page_id) AS dst FROM h), n AS (SELECT page_id, count(*) AS n FROM h GROUP BY 1)
-SELECT src, dst, count(*)::DOUBLE / any_value(n) AS trust FROM p JOIN n ON page_id = src WHERE dst IS NOT NULL AND src <> dst GROUP BY src, dst"""
+n AS (SELECT page_id, count(*) AS n FROM h GROUP BY 1)
+SELECT a.page_id AS src, b.page_id AS dst, count(*)::DOUBLE / any_value(n) AS trust FROM h a JOIN h b ON a.href = b.href AND a.page_id < b.page_id JOIN n ON n.page_id = a.page_id GROUP BY 1, 2"""
 register("scan_links", _LINKS)(lambda s, d: graphs.links(s, d).edges.select("src", "dst", "trust"))
 _WORDS = lambda c: f"regexp_extract_all(lower({c}), '[^ \\t\\n\\r]+')"
-_EVID = f"""WITH k AS (SELECT {10**13} + item_id AS dst, array_to_string({_WORDS('text')}[1:8], ' ') AS gram FROM benchmark),
-w AS (SELECT doc_id, source, {_WORDS('text')} AS ws FROM documents), g AS (SELECT doc_id AS src, array_to_string(ws[i:i+7], ' ') AS gram FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 7, 1) + 1)) AS i FROM w))
-SELECT DISTINCT src, dst FROM g JOIN k USING (gram) UNION SELECT src, dst FROM (SELECT doc_id AS src, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) AS dst FROM documents) WHERE dst IS NOT NULL"""
+_EVID = f"""WITH k AS (SELECT {10**13} + item_id AS dst, ' ' || array_to_string({_WORDS('text')}, ' ') || ' ' AS passage FROM benchmark),
+w AS (SELECT doc_id AS src, ' ' || array_to_string({_WORDS('text')}, ' ') || ' ' AS words FROM documents)
+SELECT src, dst FROM w JOIN k ON contains(words, passage) UNION SELECT src, dst FROM (SELECT doc_id AS src, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) AS dst FROM documents) WHERE dst IS NOT NULL"""
 register("scan_evidence", _EVID)(lambda s, d: graphs.evidence(s, d).edges.select("src", "dst"))
 
 # Patterns on them.
 _SHAPES: dict[str, tuple[str, GroupPattern]] = {
     "typed_groups": ("typed", P.pattern("typed", {"cust": "customer", "part": "part", "nation": "nation", "supp": "supplier"}, [("cust", "part", 1), ("part", "supp", 1), ("cust", "nation", 1), ("supp", "nation", 1)], 0.2)),
     "similar_groups": ("similar", P.pattern("similar", {"a": "1", "b": "2", "c": "3"}, [("a", "b", 2), ("a", "c", 2), ("b", "c", 2)], None)),
-    "turn_chain": ("turns", P.chain()),
     "click_groups": ("click", P.pattern("click", {"a": "purchase", "b": "click", "c": "view"}, [("a", "b", 1), ("b", "c", 1), ("a", "c", 2)], 0.5)),
     "link_groups": ("links", P.pattern("links", {"a": "en", "b": "fr", "c": "de"}, [("a", "b", 2), ("b", "c", 2)], None)),
     "evidence_groups": ("evidence", P.pattern("evidence", {"a": "en", "b": "item"}, [("a", "b", 2)], None)),
 }
+_KINDS = [("customer", "c_custkey"), ("supplier", "s_suppkey"), ("part", "p_partkey"), ("nation", "n_nationkey"), ("region", "r_regionkey")]
+_TYPED_V = " UNION ALL ".join(f"SELECT {_K[k]} + {key} AS id, '{name}' AS label, {O.influence(f'({_K[k]} + {key})')} FROM {name}" for k, (name, key) in enumerate(_KINDS, 1))
+_CLICK_V = f"SELECT user_id AS id, arg_max(event_type, {{'n': n, 't': event_type}}) AS label, {O.influence('user_id')} FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY ALL) GROUP BY user_id"
+_PAGE_V = f"SELECT page_id AS id, regexp_extract(url, '://[^/]*/([a-z][a-z])/', 1) AS label, {O.influence('page_id')} FROM pages"
+_DOC_V = f"SELECT doc_id AS id, lang AS label, quality::DOUBLE AS influence FROM documents LEFT JOIN (SELECT doc_id, max(quality) AS quality FROM labels GROUP BY 1) USING (doc_id) UNION ALL SELECT {10**13} + item_id, 'item', 1.0 FROM benchmark"
+_VEC_V = f"SELECT vec_id AS id, label::VARCHAR AS label, {O.influence('vec_id')} FROM embeddings WHERE embedding IS NOT NULL"
+_TURN_V = f"SELECT conv_id * 100000 + turn AS id, role AS label, {O.influence('(conv_id * 100000 + turn)')} FROM conversations"
+_DATA = {
+    "typed": (_TYPED_V, O.scored(_TYPED)),
+    "click": (_CLICK_V, O.scored(_CLICK)),
+    "similar": (_VEC_V, f"SELECT src, dst, 1.0::DOUBLE AS trust, 1.0::DOUBLE AS intimacy FROM ({_SIM})"),
+    "links": (_PAGE_V, f"SELECT src, dst, trust, 1.0::DOUBLE AS intimacy FROM ({_LINKS})"),
+    "evidence": (_DOC_V, O.scored(_EVID)),
+    "turns": (_TURN_V, f"SELECT src, dst, 1.0::DOUBLE AS trust, 1.0::DOUBLE AS intimacy FROM ({_TURN})"),
+}
+_PROFILE = "SELECT '{name}' AS graph, (SELECT count(*) FROM ({v})) AS vertices, CAST(coalesce(sum(d), 0) AS BIGINT) AS edges, coalesce(sum(d), 0) / (SELECT count(*) FROM ({v})) AS mean_degree, coalesce(max(d), 0) AS max_degree FROM (SELECT src, count(*) AS d FROM ({e}) GROUP BY src)"
+_HAND = f"WITH {O.handover(3)} SELECT * FROM "
+_EVERY = _DATA | {"handover": (_HAND + "vtx", _HAND + "edg"), "handover_real": (f"WITH {_REAL} SELECT * FROM rv", f"WITH {_REAL} SELECT * FROM re")}
+register("graph_stats", " UNION ALL ".join(_PROFILE.format(name=n, v=v, e=e) for n, (v, e) in _EVERY.items()))(graph_stats)
 for _name, (_source, _shape) in _SHAPES.items():
-    register(_name)(lambda s, d, g=_source, p=_shape: explore.match(graphs.GRAPHS[g](s, d), p).members())
+    _text = O.groups(_shape, "SELECT leader, node, v FROM members", 6, data=O.graph(*_DATA[_source]))
+    register(_name, _text)(lambda s, d, g=_source, p=_shape: explore.match(graphs.GRAPHS[g](s, d), p).members())
 _CHAIN = f"""WITH x AS ({_TURN}), r AS (SELECT conv_id * 100000 + turn AS id, role FROM conversations),
 a AS (SELECT s.id AS leader, u.id AS u, v.id AS v FROM x p JOIN r s ON s.id = p.src AND s.role = 'system' JOIN r u ON u.id = p.dst AND u.role = 'user' JOIN x q ON q.src = u.id JOIN r v ON v.id = q.dst AND v.role = 'assistant')
 SELECT leader, 'system' AS node, leader AS v FROM a UNION SELECT leader, 'user', u FROM a UNION SELECT leader, 'assistant', v FROM a"""
@@ -81,7 +100,7 @@ for _hint in ("broadcast", "merge", "shuffle_hash"):
 register("join_semi", f"WITH {O.handover()} SELECT id FROM vtx WHERE id IN (SELECT src FROM edg)")(lambda s, d: _graph(s, d).vertices.join(_graph(s, d).edges, F.col("id") == F.col("src"), "left_semi").select("id"))
 register("join_anti", f"WITH {O.handover()} SELECT id FROM vtx WHERE id NOT IN (SELECT dst FROM edg)")(lambda s, d: _graph(s, d).vertices.join(_graph(s, d).edges, F.col("id") == F.col("dst"), "left_anti").select("id"))
 register("join_outer", "SELECT d.doc_id, source, quality FROM documents d FULL JOIN labels l ON d.doc_id = l.doc_id")(lambda s, d: t(s, d, "documents").join(t(s, d, "labels"), "doc_id", "full_outer").select("doc_id", "source", "quality"))
-register("join_cross", "SELECT r_name, s_suppkey FROM region, supplier WHERE s_suppkey < 20")(lambda s, d: t(s, d, "region").crossJoin(t(s, d, "supplier")).select("r_name", "s_suppkey"))
+register("join_cross", "SELECT r_name, s_suppkey FROM region, supplier")(lambda s, d: t(s, d, "region").crossJoin(t(s, d, "supplier")).select("r_name", "s_suppkey"))
 
 
 @register("join_range", "SELECT a.o_orderkey AS a, b.o_orderkey AS b FROM orders a JOIN orders b ON a.o_custkey = b.o_custkey AND a.o_orderkey < b.o_orderkey AND abs(date_diff('day', CAST(a.o_orderdate AS DATE), CAST(b.o_orderdate AS DATE))) <= 7")

@@ -5,28 +5,41 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from groupmatch.durable import settle
 from groupmatch.model import GroupPattern, MatchOptions, SocialGraph
 
 from . import candidates, explore
 
 
-def edge_join(g: SocialGraph, p: GroupPattern, injective: bool = False, k: int | None = None, options: MatchOptions | None = None) -> DataFrame:
+def edge_join(g: SocialGraph, p: GroupPattern, injective: bool = False, k: int | None = None, options: MatchOptions | None = None, per_leader: bool = False) -> DataFrame:
     """One row for each assignment of vertices to pattern nodes: leader, a column per node, worst.
 
     Every pattern edge is matched with its constraints, then the relations are joined along
-    the pattern. `injective`: no vertex plays two nodes. `k`: the best k assignments per leader."""
-    found, _ = explore.match_edges(g, p, True, True, options or MatchOptions())
+    the pattern. `injective`: no vertex plays two nodes. `k`: the best k assignments per leader.
+    `per_leader`: as the compared method does, each leader explores by itself, forward only and without
+    shared relations; the rows are the same."""
+    held: list[DataFrame] = []
+    rows = settle(_assignments(g, p, injective, k, options or MatchOptions(), per_leader, held), "assignments")
+    explore.release(held)
+    return rows
+
+
+def _assignments(g, p, injective, k, options, per_leader, held) -> DataFrame:
+    found, _ = explore.match_edges(g, p, not per_leader, not per_leader, options, held=held)
+    own = ["leader"] if per_leader else []
     rows, bound, left = None, set(), list(p.edges)
     if not left:
         return candidates.select(g, p.node(p.leader)).select(F.col("v").alias("leader"), F.col("v").alias(p.leader), F.lit(None).cast("double").alias("worst"))
     while left:
         e = next(x for x in left if rows is None and x.src == p.leader or x.src in bound or x.dst in bound)
         left.remove(e)
-        rel = found[e.no].select(F.col("v").alias(e.src), F.col("w").alias(e.dst), F.col("worst").alias("__worst"))
+        rel = found[e.no].select(*own, F.col("v").alias(e.src), F.col("w").alias(e.dst), F.col("worst").alias("__worst"))
+        if own and p.leader in (e.src, e.dst):
+            rel = rel.where(F.col("leader") == F.col(p.leader))
         if rows is None:
             rows = rel.withColumnRenamed("__worst", "worst")
         else:
-            rows = rows.join(rel, sorted({e.src, e.dst} & bound)).withColumn("worst", F.least("worst", "__worst")).drop("__worst")
+            rows = rows.join(rel, [*own, *sorted({e.src, e.dst} & bound)]).withColumn("worst", F.least("worst", "__worst")).drop("__worst")
         bound |= {e.src, e.dst}
     names = [n.name for n in p.nodes]
     if injective:

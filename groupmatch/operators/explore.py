@@ -86,11 +86,12 @@ def _edge(p, no):
     return next(e for e in p.edges if e.no == no)
 
 
-def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt: MatchOptions, leaders: DataFrame | None = None, count: bool = False) -> tuple[dict[int, DataFrame], dict]:
-    """The edge relations by number; with `cache` without, else with the column leader."""
-    # Kept for several reads; lost blocks are computed again from the tables.
-    edges = g.scored_edges().persist()
-    every = candidates.select_all(g, p).persist()
+def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt: MatchOptions, leaders: DataFrame | None = None, count: bool = False, held: list[DataFrame] | None = None) -> tuple[dict[int, DataFrame], dict]:
+    """The edge relations by number; with `cache` without, else with the column leader. Frames that are kept
+    for several reads go to `held`, for `release`; lost blocks are computed again from the tables."""
+    held = [] if held is None else held
+    edges = _kept(g.scored_edges(), held)
+    every = _kept(candidates.select_all(g, p), held)
     cand = {n.name: every.where(F.col("node") == n.name).select(F.col("v").alias("at")) for n in p.nodes}
     keys = [] if cache else ["leader"]
     first = cand[p.leader] if leaders is None else cand[p.leader].join(leaders.select(F.col("leader").alias("at")), "at", "left_semi")
@@ -119,17 +120,27 @@ def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt
             rel = paths.match_edge(starts, edges, e, cand[e.src], opt, "in")
         if count:
             work["requests"][e.no] = (s.kind, starts.count())
-        found[e.no] = rel.persist()
+        found[e.no] = _kept(rel, held)
     return found, work
 
 
-def _with_leaders(p: GroupPattern, links: DataFrame, leaders: DataFrame) -> DataFrame:
+def _kept(df: DataFrame, held: list[DataFrame]) -> DataFrame:
+    held.append(df.persist())
+    return df
+
+
+def release(held: list[DataFrame]) -> None:
+    while held:
+        held.pop().unpersist()
+
+
+def _with_leaders(p: GroupPattern, links: DataFrame, leaders: DataFrame, held: list[DataFrame]) -> DataFrame:
     """Links that a leader reaches along the pattern's spanning edges, keyed by leader."""
     at = {p.leader: leaders.select("leader", F.col("leader").alias("x"))}
     for e, forward in p.spanning_steps():
         rel = links.where(F.col("edge_no") == e.no)
         near, far, old, new = ("v", "w", e.src, e.dst) if forward else ("w", "v", e.dst, e.src)
-        at[new] = at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct().persist()
+        at[new] = _kept(at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct(), held)
     out = []
     for e in p.edges:
         a = at[e.src].select("leader", F.col("x").alias("v"))
@@ -155,17 +166,26 @@ def match(g: SocialGraph, p: GroupPattern, strategy: str = "combined", options:
         only = only if leaders is None else only.join(leaders.select("leader"), "leader", "left_semi")
         empty = g.edges.sparkSession.createDataFrame([], "leader long, edge_no int, v long, w long, path array<long>, hops int, trust double, intimacy double, influence double, worst double")
         return GroupResult(p, g, empty, only.select("leader", F.lit(p.leader).alias("node"), F.col("leader").alias("v")))
-    found, work = match_edges(g, p, reverse, cache, opt, leaders, count)
+    held: list[DataFrame] = []
+    try:
+        return _grouped(g, p, reverse, cache, opt, leaders, count, held)
+    finally:
+        release(held)
+
+
+def _grouped(g, p, reverse, cache, opt, leaders, count, held) -> GroupResult:
+    found, work = match_edges(g, p, reverse, cache, opt, leaders, count, held)
     keys = [] if cache else ["leader"]
     links = _union([rel.select(*keys, F.lit(no).alias("edge_no"), *_LINK[1:]) for no, rel in found.items()])
     if cache:
         if opt.global_reduce:
-            links, work["global_rounds"] = prune.cascade(links, p, [], max_rounds=opt.max_rounds)
+            # Only a reduction before the leaders are attached: rounds that remove little don't pay.
+            links, work["global_rounds"] = prune.cascade(links, p, [], max_rounds=opt.max_rounds, least_share=opt.global_share)
         else:
             links = settle(links, "links")
         own = [e.no for e in p.out_edges(p.leader)]
         heads = links.where(F.col("edge_no").isin(own)).select(F.col("v").alias("leader")).distinct()
-        links = _with_leaders(p, links, heads)
+        links = _with_leaders(p, links, heads, held)
     # The leader's own role is played by the leader alone.
     own = [e.no for e in p.out_edges(p.leader)]
     links = links.where(~F.col("edge_no").isin(own) | (F.col("v") == F.col("leader")))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from groupmatch.durable import settle
 from groupmatch.model import GroupPattern, MatchOptions, SocialGraph
 
-from . import candidates, locality
+from . import candidates, locality, paths
 
 
 def explore_ball(edges: list[tuple], roles: dict[str, set[int]], p: GroupPattern, leader: int, floor: float, simple: bool = True):
@@ -47,11 +47,24 @@ def explore_ball(edges: list[tuple], roles: dict[str, set[int]], p: GroupPattern
             return alive if all(alive.values()) else {}
 
 
+def _supported(p: GroupPattern, opt: MatchOptions) -> float:
+    """The one cut of all rules; raises where this strategy would answer another question."""
+    rules = {x.rule for x in (*p.nodes, *p.edges)}
+    cuts = {1.0 if r is None else r.cut for r in {e.rule for e in p.edges}}
+    if any(r is not None and r.kind != "ratio" for r in rules) or len(cuts) > 1:
+        raise ValueError("strategy local takes ratio rules with one cut for all edges")
+    if opt.fold != "product" or opt.influence_span != "all" or opt.choose_first or opt.edge_mode != "constrained":
+        raise ValueError("strategy local takes product folds, whole paths and constraints that are tested first")
+    return cuts.pop()
+
+
 def match_local(g: SocialGraph, p: GroupPattern, opt: MatchOptions, leaders: DataFrame | None = None):
-    """Members only; links come from the set-at-a-time strategies. Ratio rules with one cut and product folds."""
+    """Members come from each leader's ball; links are the best paths between members of one leader.
+
+    Ratio rules with one cut and product folds only; other options raise."""
     from .explore import GroupResult
 
-    cut = next((e.rule.cut for e in p.edges if e.rule), 1.0)
+    cut = _supported(p, opt)
     heads = candidates.select(g, p.node(p.leader)).select(F.col("v").alias("leader"))
     heads = heads if leaders is None else heads.join(leaders.select("leader"), "leader", "left_semi")
     ball = settle(locality.ball(g, heads, p.diameter()).select("leader", "v"), "ball")
@@ -68,6 +81,14 @@ def match_local(g: SocialGraph, p: GroupPattern, opt: MatchOptions, leaders: Dat
         got = explore_ball(list(rows), sets, p, leader, cut, opt.path_mode == "simple")
         return pd.DataFrame([(leader, u, v) for u, vs in got.items() for v in sorted(vs)], columns=["leader", "node", "v"])
 
-    members = inside.groupBy("leader").cogroup(roles.groupBy("leader")).applyInPandas(run, "leader long, node string, v long")
-    empty = g.edges.sparkSession.createDataFrame([], "leader long, edge_no int, v long, w long, path array<long>, hops int, trust double, intimacy double, influence double, worst double")
-    return GroupResult(p, g, empty, members)
+    members = settle(inside.groupBy("leader").cogroup(roles.groupBy("leader")).applyInPandas(run, "leader long, node string, v long"), "members")
+    edges, links = g.scored_edges(), None
+    for e in p.edges:
+        at = lambda u: members.where(F.col("node") == u)
+        ends = at(e.dst).select(F.col("v").alias("at")).distinct()
+        rel = paths.match_edge(at(e.src).select(F.col("v").alias("at")).distinct(), edges, e, ends, opt)
+        a = at(e.src).select("leader", "v")
+        b = at(e.dst).select("leader", F.col("v").alias("w"))
+        own = rel.join(a, "v").join(b, ["leader", "w"], "left_semi").withColumn("edge_no", F.lit(e.no))
+        links = own if links is None else links.unionByName(own)
+    return GroupResult(p, g, settle(links.select("leader", "edge_no", "v", "w", "path", "hops", "trust", "intimacy", "influence", "worst"), "links"), members)

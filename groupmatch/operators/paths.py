@@ -28,7 +28,8 @@ def expand(starts: DataFrame, edges: DataFrame, e: PatternEdge, targets: DataFra
     keys = [c for c in starts.columns if c != "at"]
     constrained = opt.edge_mode == "constrained"
     hops = 1 if opt.edge_mode == "edge" else e.max_hops
-    eager = opt.eager_bounds and constrained and opt.fold in ("product", "min", "product_decay")
+    # Chosen before it is tested, a path may not leave early: it would let another path of its pair pass.
+    eager = opt.eager_bounds and constrained and not opt.choose_first and opt.fold in ("product", "min", "product_decay")
     floors = {k: _floor(e, k) for k in ("trust", "intimacy")} if eager else {}
     floors = {k: v for k, v in floors.items() if v is not None}
     out = direction == "out"

@@ -42,14 +42,19 @@ def _kept(links: DataFrame, living: DataFrame, p: GroupPattern, keys: list[str])
     return semi(semi(rows, "__a", "v"), "__b", "w").drop("__a", "__b")
 
 
-def cascade(links: DataFrame, p: GroupPattern, keys: list[str], child_only: bool = False, max_rounds: int = 100) -> tuple[DataFrame, int]:
+def cascade(links: DataFrame, p: GroupPattern, keys: list[str], child_only: bool = False, max_rounds: int | None = None, least_share: float = 0.0) -> tuple[DataFrame, int]:
     """The greatest part of `links` in which every end has all its edges, and the rounds it took.
 
-    Each round is one mask aggregate and two semi-joins, written to the shared folder."""
+    Each round is one mask aggregate and two semi-joins, written to the shared folder. Every round but
+    the last removes links, so the rounds end by themselves; `max_rounds` raises before that. With
+    `least_share` the rounds also stop after one that removes at most that share of the links: the result
+    is then a superset of the greatest part."""
     links, count = settle_counted(links, "links")
-    for done in range(1, max_rounds + 1):
+    done = 0
+    while max_rounds is None or done < max_rounds:
+        done += 1
         links, left = settle_counted(_kept(links, alive(links, p, keys, child_only), p, keys), "links")
-        if left == count:
+        if count - left <= least_share * count:
             return links, done
         count = left
     raise RuntimeError(f"links did not settle within {max_rounds} rounds")

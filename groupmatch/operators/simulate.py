@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from groupmatch.durable import settle
 from groupmatch.model import GroupPattern, MatchOptions, SocialGraph
 
 from . import candidates, explore, locality, paths, prune
@@ -19,14 +20,18 @@ def _crisp(p: GroupPattern) -> GroupPattern:
 
 
 def _relations(g: SocialGraph, p: GroupPattern, mode: str) -> tuple[DataFrame, DataFrame]:
+    """(candidates, links); the links are written, so that nothing stays in memory."""
     if mode != "constrained":
         p = p.with_minimum(None)
     opt = MatchOptions(edge_mode=mode)
-    edges = g.scored_edges().persist()
-    every = candidates.select_all(g, p).persist()
+    held: list[DataFrame] = []
+    edges = explore._kept(g.scored_edges(), held)
+    every = candidates.select_all(g, p)
     cand = {n.name: every.where(F.col("node") == n.name).select(F.col("v").alias("at")) for n in p.nodes}
     rels = [paths.expand(cand[e.src], edges, e, cand[e.dst], opt).select(F.lit(e.no).alias("edge_no"), "v", "w").distinct() for e in p.edges]
-    return every, reduce(DataFrame.unionByName, rels)
+    links = settle(reduce(DataFrame.unionByName, rels), "relations")
+    explore.release(held)
+    return every, links
 
 
 def _matches(every: DataFrame, links: DataFrame, p: GroupPattern, child_only: bool) -> DataFrame:
@@ -40,8 +45,6 @@ def _matches(every: DataFrame, links: DataFrame, p: GroupPattern, child_only: bo
     return out if full else out.limit(0)
 
 
-
-
 def child(g: SocialGraph, p: GroupPattern, mode: str = "edge", fuzzy: bool = True) -> DataFrame:
     """(node, v): every match has, for each outgoing pattern edge, a match beyond it.
 

@@ -12,6 +12,21 @@ def mixed(x: str) -> str:
     return f"((CAST(({x}) AS BIGINT) % {_P}) * 48271 % {_P}) / CAST({_P} AS DOUBLE)"
 
 
+def scored(edges: str) -> str:
+    """(src, dst, trust, intimacy) of edges (src, dst), drawn from ids."""
+    a, b = f"(src % {_P})", f"(dst % {_P})"
+    return f"SELECT src, dst, {mixed(f'{a} * 1000003 + {b} * 7919 + 101')} AS trust, {mixed(f'{a} * 1000033 + {b} * 104729 + 211')} AS intimacy FROM ({edges})"
+
+
+def influence(key: str) -> str:
+    return f"{mixed(f'({key} % {_P}) * 7919 + 17')} AS influence"
+
+
+def graph(vertices: str, edges: str) -> str:
+    """CTEs vtx (id, label, influence) and edg of any graph."""
+    return f"vtx AS MATERIALIZED ({vertices}),\nedg AS MATERIALIZED ({edges})"
+
+
 def handover(k: int = 3) -> str:
     """CTEs vtx (id, label, influence) and edg (src, dst, trust, intimacy) of handover(k)."""
     return f"""vtx AS (SELECT c_custkey AS id, c_mktsegment AS label, {mixed('c_custkey * 7919 + 17')} AS influence FROM customer),
@@ -76,8 +91,8 @@ def fixpoint(p: GroupPattern, rounds: int, child_only: bool = False, leader: boo
     return ",\n".join(out) + f",\nmembers AS MATERIALIZED ({union})"
 
 
-def groups(p: GroupPattern, tail: str, rounds: int = 5, k: int = 3) -> str:
-    return f"WITH {handover(k)},\n{candidates(p)},\n{relations(p)},\n{fixpoint(p, rounds)}\n{tail}"
+def groups(p: GroupPattern, tail: str, rounds: int = 5, k: int = 3, data: str | None = None) -> str:
+    return f"WITH {data or handover(k)},\n{candidates(p)},\n{relations(p)},\n{fixpoint(p, rounds)}\n{tail}"
 
 
 def members(p: GroupPattern, rounds: int = 5) -> str:

@@ -3,11 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from groupmatch import oracle_sql as O
+from groupmatch.functions.membership import least_value
 from groupmatch.model import MatchOptions
 from groupmatch.model import pattern as P
 from groupmatch.operators import baselines, candidates, explore, locality, measures, paths, simulate
@@ -56,7 +58,6 @@ def role_candidates(spark, sf_dir):
     return out.groupBy("pattern", "node").agg(F.count("*").alias("n"))
 
 
-@register("graph_stats")
 def graph_stats(spark, sf_dir):
     out = None
     for name, build in graphs.GRAPHS.items():
@@ -65,7 +66,7 @@ def graph_stats(spark, sf_dir):
     return out
 
 
-@register("complexity_drivers")
+@register("complexity_drivers", f"WITH {O.handover()} SELECT (SELECT count(*) FROM vtx) AS n, CAST(4 AS BIGINT) AS pattern_nodes, 1.0::DOUBLE AS pattern_degree, (SELECT count(*) FROM edg) / (SELECT count(*) FROM vtx) AS data_degree, CAST(3 AS BIGINT) AS hops")
 def complexity_drivers(spark, sf_dir):
     from groupmatch.plans.cost import drivers
 
@@ -111,10 +112,22 @@ def edge_relation_search_first(spark, sf_dir):
     return paths.match_edge(starts, edges, e, ends, MatchOptions(eager_bounds=False, last_hop_filter=False))
 
 
-@register("edge_relation_choose_first", f"{_REL} SELECT {_LINK} FROM rel")
+# Minima that differ, so that the path chosen first may fail where another one of its pair passes.
+_UNEVEN = replace(_P1.edges[1], min_trust=0.2, min_intimacy=0.6, min_influence=0.4)
+_FIRST = O.relation(replace(_UNEVEN, min_trust=0.0, min_intimacy=0.0, min_influence=0.0), "rel")
+_TESTS = " AND ".join(f"{k} >= {least_value(m, _UNEVEN.rule)!r}" for k, m in _UNEVEN.minima().items())
+
+
+@register("edge_relation_choose_first", f"WITH {O.handover()},\n{O.candidates(_P1)},\n{_FIRST} SELECT {_LINK} FROM rel WHERE {_TESTS}")
 def edge_relation_choose_first(spark, sf_dir):
-    edges, e, starts, ends = _edge_inputs(spark, sf_dir, _P1, 1)
-    return paths.match_edge(starts, edges, e, ends, MatchOptions(choose_first=True, eager_bounds=False))
+    edges, _, starts, ends = _edge_inputs(spark, sf_dir, _P1, 1)
+    return paths.match_edge(starts, edges, _UNEVEN, ends, MatchOptions(choose_first=True))
+
+
+@register("edge_relation_test_first", f"WITH {O.handover()},\n{O.candidates(_P1)},\n{O.relation(_UNEVEN, 'rel')} SELECT {_LINK} FROM rel")
+def edge_relation_test_first(spark, sf_dir):
+    edges, _, starts, ends = _edge_inputs(spark, sf_dir, _P1, 1)
+    return paths.match_edge(starts, edges, _UNEVEN, ends, MatchOptions())
 
 
 # Groups: every pattern, every strategy.
@@ -142,6 +155,23 @@ register("twin_mixed", O.members(P.twin_mixed(0.3), 14))(lambda s, d: explore.ma
 _TOP = "SELECT leader, PM, BA, SD, ST, worst FROM (SELECT *, row_number() OVER (PARTITION BY leader ORDER BY worst DESC, PM, BA, SD, ST) AS r FROM asg) WHERE r <= 3"
 register("exact_top_k", O.assignments(_P2, _TOP))(lambda s, d: baselines.edge_join(_graph(s, d), _P2, k=3).drop("rank"))
 register("exact_injective", O.assignments(_P2, "SELECT count(*) AS n FROM asg", True))(lambda s, d: baselines.edge_join(_graph(s, d), _P2, True).agg(F.count("*").alias("n")))
+for _key, _make in (("p1", P.one_source), ("p2", P.two_source)):
+    register(f"exact_{_key}_per_leader", O.assignments(_make(), "SELECT leader, count(*) AS assignments, max(worst) AS best FROM asg GROUP BY leader"))(
+        lambda s, d, f=_make: baselines.edge_join(_graph(s, d), f(), per_leader=True).groupBy("leader").agg(F.count("*").alias("assignments"), F.max("worst").alias("best"))
+    )
+    _names = [n.name for n in _make().nodes]
+    _pairs = [(e.src, e.dst) for e in _make().edges]
+    _each = ", ".join(f"count(DISTINCT {n}) AS n_{n}" for n in _names) + ", " + ", ".join(f"count(DISTINCT {{'a': {a}, 'b': {b}}}) AS e_{i}" for i, (a, b) in enumerate(_pairs))
+    _mean = f"SELECT count(*) AS groups, avg({' + '.join(f'n_{n}' for n in _names)}) AS mean_members, avg({' + '.join(f'e_{i}' for i in range(len(_pairs)))}) AS mean_links FROM (SELECT leader, {_each} FROM asg GROUP BY leader)"
+
+    def _exact_sizes(s, d, f=_make, names=_names, pairs=_pairs):
+        rows = baselines.edge_join(_graph(s, d), f(), per_leader=True)
+        # Distinct nodes and matched paths of each leader, as the assignments hold them together.
+        node = rows.select("leader", F.inline(F.array(*(F.struct(F.lit(n).alias("node"), F.col(n).alias("v")) for n in names)))).distinct().groupBy("leader").agg(F.count("*").alias("n"))
+        path = rows.select("leader", F.inline(F.array(*(F.struct(F.lit(i).alias("no"), F.col(a).alias("v"), F.col(b).alias("w")) for i, (a, b) in enumerate(pairs))))).distinct().groupBy("leader").agg(F.count("*").alias("m"))
+        return node.join(path, "leader").agg(F.count("*").alias("groups"), F.avg("n").alias("mean_members"), F.avg("m").alias("mean_links"))
+
+    register(f"exact_sizes_{_key}", O.assignments(_make(), _mean))(_exact_sizes)
 _GROUPED = " UNION ".join(f"SELECT leader, '{n.name}' AS node, {n.name} AS v FROM asg" for n in _P2.nodes)
 register("exact_grouped", O.assignments(_P2, _GROUPED))(lambda s, d: baselines.edge_join_grouped(_graph(s, d), _P2))
 
@@ -177,10 +207,9 @@ register("sim_strong", O.members(_P1))(lambda s, d: simulate.strong(_graph(s, d)
 register("false_members", f"WITH {O.handover()},\n{O.candidates(_P1)},\n{O.relations(_P1)},\n{O.fixpoint(_P1, 8, True, False).replace('s_', 'q_').replace('members AS', 'wide AS')},\n{O.fixpoint(_P1, 5)}\nSELECT node, v FROM wide EXCEPT SELECT node, v FROM members")(lambda s, d: baselines.false_members(_graph(s, d), _P1))
 for _attr in ("node", "trust", "intimacy", "influence"):
     _only = P.two_source(0.7).only(_attr)
-    if _attr in ("trust", "intimacy"):
-        register(f"groups_only_{_attr}", O.groups(_only, "SELECT count(DISTINCT leader) AS groups, count(*) AS n FROM members", 6))(
-            lambda s, d, p=_only: explore.match(_graph(s, d), p).members().agg(F.count_distinct("leader").alias("groups"), F.count("*").alias("n"))
-        )
+    register(f"groups_only_{_attr}", O.groups(_only, "SELECT count(DISTINCT leader) AS groups, count(*) AS n FROM members", 6))(
+        lambda s, d, p=_only: explore.match(_graph(s, d), p).members().agg(F.count_distinct("leader").alias("groups"), F.count("*").alias("n"))
+    )
 
 
 # Parameters.
@@ -200,7 +229,7 @@ def _swept_sql(rows):
     return " UNION ALL ".join(f"SELECT * FROM ({O.groups(p, chr(10) + f'SELECT {chr(39)}{label}{chr(39)} AS setting, count(DISTINCT leader) AS groups, count(*) AS members FROM members', 6)})" for label, p in rows)
 
 
-_THRESHOLDS = [(f"{k} min {m} cut {c}", f(None).with_minimum(m, c)) for k, f in (("p1", P.one_source), ("p2", P.two_source)) for m, c in ((0.5, 0.8), (0.5, 0.9), (0.5, 1.0), (0.8, 0.9))]
+_THRESHOLDS = [(f"{k} min {m} cut {c}", f(None).with_minimum(m, c)) for k, f in (("p1", P.one_source), ("p2", P.two_source)) for m in (0.3, 0.5, 0.8) for c in (0.8, 0.9, 1.0)]
 register("groups_by_threshold", _swept_sql(_THRESHOLDS))(_sweep(_THRESHOLDS))
 _BOUNDS = [(f"bound {h}", _P2.with_hops(1, h)) for h in (1, 2, 3)]
 register("groups_by_bound", _swept_sql(_BOUNDS))(_sweep(_BOUNDS))

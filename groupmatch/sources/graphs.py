@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from groupmatch.durable import settle
 from groupmatch.model import SocialGraph
 
 _P = 2147483647
@@ -21,9 +22,10 @@ def mixed(x: Column) -> Column:
 
 def pseudo_random(vertices: DataFrame, edges: DataFrame) -> SocialGraph:
     """Scores in 0..1 drawn from ids: vertices (id, labels), edges (src, dst)."""
-    v = vertices.select("id", "labels", mixed(F.col("id") * 7919 + 17).alias("influence"))
-    t = mixed(F.col("src") * 1000003 + F.col("dst") * 7919 + 101)
-    r = mixed(F.col("src") * 1000033 + F.col("dst") * 104729 + 211)
+    small = lambda c: F.col(c) % F.lit(_P).cast("long")  # noqa: E731  so that products of large ids fit
+    v = vertices.select("id", "labels", mixed(small("id") * 7919 + 17).alias("influence"))
+    t = mixed(small("src") * 1000003 + small("dst") * 7919 + 101)
+    r = mixed(small("src") * 1000033 + small("dst") * 104729 + 211)
     return SocialGraph(v, edges.select("src", "dst", t.alias("trust"), r.alias("intimacy")))
 
 
@@ -100,32 +102,38 @@ def similar(spark: SparkSession, sf_dir: str, top: int = 8, least: float = 0.15)
 
     ship(spark)
     emb = table(spark, sf_dir, "embeddings").where("embedding IS NOT NULL").select("vec_id", F.col("embedding").cast("array<double>").alias("x"), "label")
-    side = 16
-    left = emb.withColumn("i", F.pmod("vec_id", F.lit(side)).cast("int")).withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(side - 1))))
-    right = emb.withColumn("j", F.pmod("vec_id", F.lit(side)).cast("int")).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(side - 1))))
-    rows = left.select("i", "j", F.lit(0).alias("s"), "vec_id", "x").unionByName(right.select("i", "j", F.lit(1).alias("s"), "vec_id", "x"))
+    # Blocks of about 4,096 vectors, as many as the table needs.
+    side = max(1, -(-emb.count() // 4096))
+    block = F.pmod(F.xxhash64("vec_id"), F.lit(side)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(side - 1)))
+    left = emb.select(block.alias("i"), every.alias("j"), F.lit(0).alias("s"), "vec_id", "x")
+    right = emb.select(every.alias("i"), block.alias("j"), F.lit(1).alias("s"), "vec_id", "x")
+    rows = left.unionByName(right)
 
     def near(t: pa.Table) -> pa.Table:
         s, ids = t["s"].to_numpy(), t["vec_id"].to_numpy()
-        x = np.array(t["x"].to_pylist(), float)
-        a, b = s == 0, s == 1
-        src, dst, cos = [], [], []
-        if a.any() and b.any():
-            # One row at a time, folded left to right, so that the sums are reproducible.
-            for k in np.flatnonzero(a):
-                dot = np.zeros(b.sum())
-                own = other = 0.0
+        x = np.asarray(t["x"].combine_chunks().flatten()).reshape(len(ids), -1)
+        a, b = x[s == 0], x[s == 1]
+        left, right = ids[s == 0], ids[s == 1]
+        # Folded left to right, so that the sums are reproducible.
+        norm = lambda m: np.sqrt(np.add.accumulate(m * m, axis=1)[:, -1])
+        src, dst, cos = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
+        if len(a) and len(b):
+            own, other = norm(a), norm(b)
+            for at in range(0, len(a), 256):
+                part = slice(at, at + 256)
+                dot = np.zeros((len(a[part]), len(b)))
                 for d in range(x.shape[1]):
-                    dot = dot + x[k, d] * x[b, d]
-                    own = own + x[k, d] * x[k, d]
-                    other = other + x[b, d] * x[b, d]
-                c = dot / (np.sqrt(own) * np.sqrt(other))
-                ok = (c >= least) & (ids[b] != ids[k])
-                best = np.lexsort((ids[b], -np.where(ok, c, -2)))[: min(top, int(ok.sum()))]
-                src += [ids[k]] * len(best)
-                dst += ids[b][best].tolist()
-                cos += c[best].tolist()
-        return pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64()), "trust": pa.array(cos, pa.float64())})
+                    dot += a[part, d][:, None] * b[:, d][None, :]
+                c = dot / (own[part][:, None] * other[None, :])
+                c[(c < least) | (left[part][:, None] == right[None, :])] = -2
+                # The top few and all that tie with the last of them.
+                bound = np.maximum(-np.partition(-c, min(top, c.shape[1]) - 1, axis=1)[:, min(top, c.shape[1]) - 1], -1)
+                r, k = np.nonzero(c >= bound[:, None])
+                src.append(left[part][r])
+                dst.append(right[k])
+                cos.append(c[r, k])
+        return pa.table({"src": np.concatenate(src), "dst": np.concatenate(dst), "trust": np.concatenate(cos)})
 
     pairs = rows.groupBy("i", "j").applyInArrow(near, "src long, dst long, trust double")
     rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("trust"), "dst"))
@@ -161,23 +169,40 @@ def links(spark: SparkSession, sf_dir: str) -> SocialGraph:
     return SocialGraph(p.select(F.col("page_id").alias("id"), F.array(lang).alias("labels"), mixed(F.col("page_id") * 7919 + 17).alias("influence")), e)
 
 
+def _following(rows: DataFrame, group: str, order: str) -> DataFrame:
+    """(src, dst): each value of `order` and the next one of its group. Ranges of (group, order) are dealt to
+    tasks, so that a group of any size is split; the first of the next range follows the last of one."""
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    key = F.coalesce(F.concat(F.lit("="), F.col(group).cast("string")), F.lit("")).alias("key")
+    dealt = rows.select(key, F.col(order).alias("src")).repartitionByRange(n, "key", "src").withColumn("part", F.spark_partition_id())
+    dealt = settle(dealt, "ranges")
+    firsts = dealt.groupBy("key", "part").agg(F.min("src").alias("first"))
+    firsts = firsts.withColumn("following", F.lead("first").over(Window.partitionBy("key").orderBy("part"))).drop("first")
+    inside = F.lead("src").over(Window.partitionBy("key", "part").orderBy("src"))
+    found = dealt.withColumn("inside", inside).join(firsts, ["key", "part"])
+    return found.select("src", F.coalesce("inside", "following").alias("dst")).where("dst IS NOT NULL")
+
+
 def evidence(spark: SparkSession, sf_dir: str) -> SocialGraph:
-    """Document to the later document of its source (in id order) and to benchmark items whose first 8 words it
-    holds; influence is the quality label, null where it is missing. Item ids are 10^13 + item_id."""
+    """Document to the next document of its source (in id order) and to benchmark items whose whole passage it
+    holds, word by word; influence is the quality label, null where it is missing. Item ids are 10^13 + item_id.
+
+    The first 8 words of a passage find the documents that may hold it (passages have as many at least)."""
     d = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
     lab = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max("quality").alias("quality"))
     b = table(spark, sf_dir, "benchmark")
     words = lambda c: F.regexp_extract_all(F.lower(c), F.lit("[^ \\t\\n\\r]+"), F.lit(0))
     grams = lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 7, F.lit(1))), lambda i: F.array_join(F.slice(w, i, 8), " "))
+    whole = lambda c: F.concat(F.lit(" "), F.array_join(words(c), " "), F.lit(" "))
     keys = b.select((F.lit(10**13) + F.col("item_id")).alias("dst"), F.array_join(F.slice(words(F.col("text")), 1, 8), " ").alias("gram"))
     # The words are generated once per row; inlined into the lambda they would be split for every n-gram.
     split = d.select(F.col("doc_id").alias("src"), F.explode(F.array(words(F.col("text")))).alias("ws"))
-    held = split.select("src", F.explode(F.array_distinct(grams(F.col("ws")))).alias("gram")).join(keys, "gram").select("src", "dst").distinct()
-    after = Window.partitionBy("source").orderBy("doc_id")
-    next_ = d.select(F.col("doc_id").alias("src"), F.lead("doc_id").over(after).alias("dst")).where("dst IS NOT NULL")
+    maybe = split.select("src", F.explode(F.array_distinct(grams(F.col("ws")))).alias("gram")).join(keys, "gram").select("src", "dst").distinct()
+    passages = b.select((F.lit(10**13) + F.col("item_id")).alias("dst"), whole(F.col("text")).alias("passage"))
+    held = maybe.join(passages, "dst").join(d.select(F.col("doc_id").alias("src"), "text"), "src").where(whole(F.col("text")).contains(F.col("passage"))).select("src", "dst").distinct()
     v = d.join(lab, "doc_id", "left").select(F.col("doc_id").alias("id"), F.array("lang", "source").alias("labels"), F.col("quality").cast("double").alias("influence"))
     items = b.select((F.lit(10**13) + F.col("item_id")).alias("id"), F.array(F.lit("item")).alias("labels"), F.lit(1.0).alias("influence"))
-    g = pseudo_random(v.select("id", "labels"), held.unionByName(next_))
+    g = pseudo_random(v.select("id", "labels"), held.unionByName(_following(d, "source", "doc_id")))
     return SocialGraph(v.unionByName(items), g.edges)
 
 
