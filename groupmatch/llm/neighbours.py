@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from groupmatch.durable import settle
@@ -23,9 +23,11 @@ GROUP = 64
 
 
 class CollisionIndex:
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray, lines: int = LINES, seed: int = 7):
-        order = np.argsort(ids, kind="stable")
-        self.ids, self.vectors = ids[order], vectors[order]
+    """Vectors with their ids and row numbers; a query is left out of its own answer by its row number."""
+
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, vectors: np.ndarray, lines: int = LINES, seed: int = 7):
+        order = np.lexsort((rows, ids))
+        self.ids, self.rows, self.vectors = ids[order], rows[order], vectors[order]
         norms = np.einsum("ij,ij->i", self.vectors, self.vectors)
         self.top = float(np.sqrt(norms.max()))
         level = np.sqrt(np.maximum(1.0 - norms / self.top**2, 0.0))
@@ -35,7 +37,7 @@ class CollisionIndex:
         self.sorted = np.take_along_axis(shown, self.orders.T, 0).T.copy()
 
     def search(self, queries: np.ndarray, own: np.ndarray, k: int, share: float, threshold: float, width: float = 0.35, growth: float = 1.35):
-        """For each query (id, scores) of the block's best k; `own` ids are left out."""
+        """For each query (ids, scores) of the block's best k; the rows `own` are left out."""
         n = len(self.ids)
         need = min(n, int(k + 1 + share * n))
         for at in range(0, len(queries), GROUP):
@@ -90,7 +92,7 @@ class CollisionIndex:
                 # Everything at least as near as the (k + 1)-th, so that ties go by id.
                 bound = -np.partition(-scores, k)[k]
                 some, scores = some[scores >= bound], scores[scores >= bound]
-            some, scores = some[self.ids[some] != who], scores[self.ids[some] != who]
+            some, scores = some[self.rows[some] != who], scores[self.rows[some] != who]
             best = np.lexsort((self.ids[some], -scores))[:k]
             yield self.ids[some[best]], scores[best]
 
@@ -104,8 +106,9 @@ def usable(vectors: DataFrame) -> DataFrame:
 
 
 def _packed(it):
+    """Rows (vec_id, row, v) by length: (dim, ids: id and row in turn, vs)."""
     for batch in it:
-        ids, lists = np.asarray(batch.column(0)), batch.column(1)
+        ids, lists = np.column_stack((np.asarray(batch.column(0)), np.asarray(batch.column(1)))), batch.column(2)
         lengths = np.asarray(lists.value_lengths())
         flat = np.asarray(lists.flatten())
         starts = np.concatenate(([0], np.cumsum(lengths)))[:-1]
@@ -119,26 +122,28 @@ def _packed(it):
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.binary(), pa.binary()))], names=["dim", "ids", "vs"])
 
 
-def search(vectors: DataFrame, is_query: Column, k: int = 20, share: float = 0.1, threshold: float = 0.55, block: int = BLOCK, lines: int = LINES) -> DataFrame:
+def search(vectors: DataFrame, is_query: Column, k: int = 20, share: float = 0.2, threshold: float = 0.55, block: int = BLOCK, lines: int = LINES) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k nearest found, ties to the smaller vec_id.
 
     Every usable row is indexed; only rows of a query's length are its candidates. `share`:
     part of a block that is verified at least. The query set is packed in groups that meet each
-    block. Null, zero and non-finite vectors take no part; a repeated vec_id counts as often as it
-    comes, but never for the query of that id."""
-    rows = settle(usable(vectors), "vectors")
+    block. Null, zero and non-finite vectors and null ids take no part. A query's candidates are all rows but its
+    own: of a repeated vec_id each row counts as a candidate, and each row that is a query has an answer of its
+    own. An empty table gives an empty result; other columns are ignored."""
+    # Rows are numbered as they are written here.
+    rows = settle(usable(vectors).withColumn("row", F.monotonically_increasing_id()), "vectors")
     blocks = max(1, -(-rows.count() // block))
     part = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("part")
     schema = "dim int, ids binary, vs binary"
-    queries = rows.where(is_query).mapInArrow(_packed, schema).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("query", F.lit(True))
-    data = rows.select(part, "vec_id", "v").repartitionById(blocks, F.col("part"))
+    queries = rows.where(is_query).select("vec_id", "row", "v").mapInArrow(_packed, schema).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).withColumn("query", F.lit(True))
+    data = rows.select(part, "vec_id", "row", "v").repartitionById(blocks, F.col("part"))
 
     def own_rows(it):
         from pyspark import TaskContext
 
         p = TaskContext.get().partitionId()
         for batch in it:
-            for out in _packed([batch.select(["vec_id", "v"])]):
+            for out in _packed([batch.select(["vec_id", "row", "v"])]):
                 yield out.append_column("part", pa.array([p] * out.num_rows, pa.int32())).append_column("query", pa.array([False] * out.num_rows))
 
     data = data.mapInArrow(own_rows, f"{schema}, part int, query boolean")
@@ -148,19 +153,18 @@ def search(vectors: DataFrame, is_query: Column, k: int = 20, share: float = 0.1
         for batch in it:
             for d, ids, vs, q in zip(*(batch.column(c).to_pylist() for c in ("dim", "ids", "vs", "query"))):
                 v = np.frombuffer(vs, "<f8").reshape(-1, d)
-                held.setdefault(d, ([], []))[q].append((np.frombuffer(ids, "<i8"), v))
+                held.setdefault(d, ([], []))[q].append((np.frombuffer(ids, "<i8").reshape(-1, 2), v))
         for d, (data, asked) in held.items():
             if not data or not asked:
                 continue
-            index = CollisionIndex(np.concatenate([i for i, _ in data]), np.concatenate([v for _, v in data]), lines)
+            names = np.concatenate([i for i, _ in data])
+            index = CollisionIndex(names[:, 0], names[:, 1], np.concatenate([v for _, v in data]), lines)
             for ids, v in asked:
-                got = list(index.search(v, ids, k, share, threshold))
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([i for i, _ in got], pa.list_(pa.int64())), pa.array([s for _, s in got], pa.list_(pa.float64()))], names=["query_id", "ids", "scores"])
+                got = list(index.search(v, ids[:, 1], k, share, threshold))
+                yield pa.RecordBatch.from_arrays([pa.array(ids[:, 0]), pa.array(ids[:, 1]), pa.array([i for i, _ in got], pa.list_(pa.int64())), pa.array([s for _, s in got], pa.list_(pa.float64()))], names=["query_id", "row", "ids", "scores"])
 
     together = data.select("part", "dim", "ids", "vs", "query").unionByName(queries.select("part", "dim", "ids", "vs", "query"))
-    found = together.repartitionById(blocks, F.col("part")).mapInArrow(find, "query_id long, ids array<long>, scores array<double>")
-    best = found.select("query_id", F.explode(F.arrays_zip("ids", "scores")).alias("x")).select("query_id", "x.ids", "x.scores")
-    from pyspark.sql import Window
-
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("scores"), "ids"))
+    found = together.repartitionById(blocks, F.col("part")).mapInArrow(find, "query_id long, row long, ids array<long>, scores array<double>")
+    best = found.select("query_id", "row", F.explode(F.arrays_zip("ids", "scores")).alias("x")).select("query_id", "row", "x.ids", "x.scores")
+    rank = F.row_number().over(Window.partitionBy("row").orderBy(F.desc("scores"), "ids"))
     return best.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", F.col("ids").alias("vec_id"), F.col("scores").alias("score"))
