@@ -1,7 +1,7 @@
 """Language identification: sparse multinomial logistic regression on TF-IDF character n-grams.
 
 Document frequencies come from all labelled training rows. The classifier is fitted on a bounded
-sample of them (`train_rows`, the rows with smallest hash of doc_id) by follow-the-regularised-leader
+sample of them (`per_lang` rows of each language, those with the smallest hash of doc_id) by follow-the-regularised-leader
 with an elastic net, whose L1 part leaves a sparse weight table; a part of the sample that takes
 no step sets the temperature which calibrates the probabilities.
 """
@@ -12,7 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .textops import mix, utf8
@@ -104,7 +104,7 @@ def _sparse_rows(it):
             s = np.flatnonzero(c)
             slots.append(s.astype(np.int32))
             counts.append(c[s])
-        yield pa.RecordBatch.from_arrays([pa.array(slots, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int64())), pa.array(langs, pa.string())], names=["slots", "counts", "lang"])
+        yield pa.RecordBatch.from_arrays([pa.array(slots, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int64())), pa.array(langs, pa.string()), *(batch.column(k) for k in (2, 3, 4))], names=["slots", "counts", "lang", "hash", "doc_id", "text_hash"])
 
 
 def _frequency_rows(it):
@@ -122,8 +122,12 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
-def train(labelled: DataFrame, train_rows: int = 2000) -> Model | None:
-    """A model from (doc_id, text, lang); None without usable rows. IDF uses all of `labelled`."""
+def train(labelled: DataFrame, per_lang: int = 500) -> Model | None:
+    """A model from (doc_id, text, lang); None without usable rows.
+
+    IDF and the set of languages use all of `labelled`; the weights are fitted on `per_lang` rows of each
+    language, those with the smallest hash of doc_id (ties by doc_id and text). They are chosen by narrow rows;
+    only the chosen texts are fetched."""
     usable = labelled.where("text IS NOT NULL AND lang IS NOT NULL").select("doc_id", "text", F.col("lang").cast("string").alias("lang"))
     counts = usable.select("text").mapInArrow(_frequency_rows, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()
     total = int(counts.loc[counts.slot < 0, "n"].sum())
@@ -133,20 +137,29 @@ def train(labelled: DataFrame, train_rows: int = 2000) -> Model | None:
     real = counts[counts.slot >= 0]
     df[real.slot.to_numpy()] = real.n.to_numpy()
     idf = np.log((1 + total) / (1 + df)) + 1
-    picked = usable.orderBy(F.xxhash64(F.col("doc_id")), "doc_id", F.xxhash64("text", "lang")).limit(train_rows)
-    rows = picked.select("text", "lang").mapInArrow(_sparse_rows, "slots array<int>, counts array<long>, lang string").toArrow().to_pydict()
-    rows = [(np.array(s, np.int64), np.array(c), x) for s, c, x in zip(rows["slots"], rows["counts"], rows["lang"])]
+    order = ["hash", "doc_id", "text_hash"]
+    given = usable.withColumn("hash", F.xxhash64("doc_id")).withColumn("text_hash", F.xxhash64("text"))
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy(*order))
+    chosen = given.select("lang", *order).withColumn("rank", rank).where(F.col("rank") <= per_lang)
+    keys = chosen.select("lang", *(F.col(c).alias(f"c_{c}") for c in ("hash", "text_hash"))).distinct()
+    # At most per_lang keys a language.
+    picked = given.join(F.broadcast(keys.withColumnRenamed("lang", "c_lang")), (F.col("lang") == F.col("c_lang")) & (F.col("hash") == F.col("c_hash")) & (F.col("text_hash") == F.col("c_text_hash")), "left_semi")
+    # A repeated row is as good as one of it; it can't come more often than there are places.
+    picked = picked.groupBy("lang", *order).agg(F.first("text").alias("text")).select("text", "lang", *order)
+    rows = picked.select("text", "lang", *order).mapInArrow(_sparse_rows, "slots array<int>, counts array<long>, lang string, hash long, doc_id long, text_hash long").toArrow().to_pylist()
+    rows.sort(key=lambda r: (r["hash"], r["doc_id"] is None, r["doc_id"] or 0, r["text_hash"], r["lang"]))
+    rows = [(np.array(r["slots"], np.int64), np.array(r["counts"]), r["lang"]) for r in rows]
     return fit(rows, sorted({x for _, _, x in rows}), idf)
 
 
-def identify(docs: DataFrame, train_rows: int = 2000) -> DataFrame:
+def identify(docs: DataFrame, per_lang: int = 500) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) of every row; trained on rows that aren't held out.
 
     Null texts and texts without a letter are `und` with score 0, as is every row if no row can
     be learned from. A null doc_id isn't held out. Long texts count whole; repeated rows are
     judged each; an empty table gives an empty result."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang"))
-    model = train(docs.where(~held_out(F.col("doc_id"))), train_rows)
+    model = train(docs.where(~held_out(F.col("doc_id"))), per_lang)
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(it):

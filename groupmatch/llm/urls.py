@@ -12,11 +12,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from groupmatch.durable import settle
+
 RULES = [("org/", "allow"), ("example.org/es/", "block"), ("example.org/en/1", "block"), ("com/fr/", "allow"), ("com/de/", "block")]
 #: Default list: canonical hosts and pages to block.
 LISTED = ("ads-track.example.com/", "ads-track.example.net/", "cheap-pills.example.net/", "free-bets.example.net/", "spam-farm.example.net/", "casino-win.example.net/", "tionsh.example.net/en/404", "ththth.example.net/en/25")
 WORDS = 8
 MAX_BYTES = 64 << 20
+#: The multipliers of split-block Bloom filters.
 _SALTS = np.array([0x47B6137B, 0x44974D91, 0x8824AD5B, 0xA2B7289D, 0x705495C7, 0x2DF1424B, 0x9EFC4947, 0x5C6BFB31], np.uint32)
 
 
@@ -100,7 +103,8 @@ def judge(pages: DataFrame, rules=None, listed=LISTED) -> DataFrame:
 
     verdict is the longest fitting rule's; without one `block` if a canonical key is listed, else
     `allow`. Null URLs and URLs without :// have empty host and path and are allowed. listed_key
-    is the longest listed key, if looked up. Repeated rows are judged each."""
+    is the longest listed key, if looked up. Repeated rows are judged each, URLs of any length whole; an empty table
+    gives an empty result."""
     spark = pages.sparkSession
     keys = listed_keys(spark, listed)
     held = spark.sparkContext.broadcast(build_bloom(keys))
@@ -120,7 +124,8 @@ def judge(pages: DataFrame, rules=None, listed=LISTED) -> DataFrame:
                 at += len(keys)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.list_(pa.string()))], names=[*batch.schema.names, "possible"])
 
-    rows = rows.mapInArrow(possible, "page_id long, host string, path string, rule string, by_rule string, possible array<string>")
+    # Read several times below, so it is written once.
+    rows = settle(rows.mapInArrow(possible, "page_id long, host string, path string, rule string, by_rule string, possible array<string>"), "urls")
     # The exact join is on distinct possible keys, so that a popular host is one row of it.
     hits = rows.select(F.explode("possible").alias("key")).distinct().join(keys, "key")
     name = F.concat("host", F.lit("\n"), "path")

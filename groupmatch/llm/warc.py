@@ -32,6 +32,14 @@ _SPACE = re.compile(r"[ \t\x0b\x0c\r\xa0]+")
 _LINES = re.compile(r"\s*\n\s*")
 
 
+_CONTROL = re.compile(r"[\x00-\x1f\x7f]")
+
+
+def one_line(value: str) -> str:
+    """A header's value; control characters, which would end the line, are percent-encoded."""
+    return _CONTROL.sub(lambda m: f"%{ord(m[0]):02X}", value)
+
+
 def digest(raw: bytes) -> str:
     return "sha1:" + base64.b32encode(hashlib.sha1(raw).digest()).decode()
 
@@ -53,8 +61,9 @@ def links(page: str) -> list[str]:
 def responses(pages: DataFrame, date: str = DATE) -> DataFrame:
     """Response records (page_id, record_id, target_uri, warc_date, headers, payload) of raw pages.
 
-    Null pages have an empty payload; a null URL an empty target. Ids depend on page_id, URL and payload,
-    so repeated rows give equal records."""
+    Null pages have an empty payload; a null URL an empty target; control characters in URLs are
+    percent-encoded. Ids depend on page_id, URL and payload, so repeated rows give equal records. Pages of any length
+    are taken whole, an empty table gives no records, other columns are ignored."""
 
     def run(it):
         for batch in it:
@@ -62,7 +71,7 @@ def responses(pages: DataFrame, date: str = DATE) -> DataFrame:
             heads = [[("Content-Type", "text/html; charset=utf-8"), ("Content-Length", str(len((p or "").encode())))] for p in pages]
             names = [record_id("response", str(i), u or "", digest((p or "").encode())) for i, u, p in zip(ids, urls, pages)]
             yield pa.RecordBatch.from_arrays(
-                [pa.array(ids, pa.int64()), pa.array(names), pa.array([u or "" for u in urls]), pa.array([date] * len(ids), pa.string()), pa.array(heads, pa.map_(pa.string(), pa.string())), pa.array([p or "" for p in pages])],
+                [pa.array(ids, pa.int64()), pa.array(names), pa.array([one_line(u or "") for u in urls]), pa.array([date] * len(ids), pa.string()), pa.array(heads, pa.map_(pa.string(), pa.string())), pa.array([p or "" for p in pages])],
                 names=["page_id", "record_id", "target_uri", "warc_date", "headers", "payload"],
             )
 
@@ -105,7 +114,7 @@ def to_bytes(row: dict) -> bytes:
     heads += [("WARC-Target-URI", row["target_uri"]), ("WARC-Block-Digest", row["block_digest"]), ("WARC-Payload-Digest", row["payload_digest"])]
     heads += [("WARC-Source-Digest", row["source_digest"])] + [(f"X-Source-{k}", v) for k, v in dict(row["source_headers"]).items()]
     heads += [("Content-Type", row["content_type"]), ("Content-Length", str(len(body)))]
-    return b"WARC/1.1\r\n" + "".join(f"{k}: {v}\r\n" for k, v in heads).encode() + b"\r\n" + body + b"\r\n\r\n"
+    return b"WARC/1.1\r\n" + "".join(f"{one_line(k)}: {one_line(v)}\r\n" for k, v in heads).encode("utf-8", "replace") + b"\r\n" + body + b"\r\n\r\n"
 
 
 def from_bytes(raw: bytes) -> list[tuple[dict[str, str], bytes]]:
@@ -113,7 +122,7 @@ def from_bytes(raw: bytes) -> list[tuple[dict[str, str], bytes]]:
     out, at = [], 0
     while at < len(raw):
         end = raw.index(b"\r\n\r\n", at)
-        heads = dict(x.split(": ", 1) for x in raw[at:end].decode().split("\r\n")[1:])
+        heads = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in raw[at:end].decode().split("\r\n")[1:])
         body = raw[end + 4 : end + 4 + int(heads["Content-Length"])]
         out.append((heads, body))
         at = end + 4 + len(body) + 4

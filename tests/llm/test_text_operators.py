@@ -357,3 +357,43 @@ def test_warc_round_trip(spark):
     one = {r.record_type: r for r in out if r.page_id == 1}
     assert one["conversion"].content == "One\ntwo\nL" and "outlink: /l?a=1&b L a/@href" in one["metadata"].content and "title: T & x" in one["metadata"].content
     assert one["conversion"].refers_to == one["metadata"].refers_to and one["conversion"].record_id != one["metadata"].record_id
+
+
+def test_warc_headers_stay_in_their_lines(spark):
+    rows = [(1, "http://a/\r\nWARC-Type: x\r\n\r\n", "<p>x</p>", 5), (1, "http://a/\r\nWARC-Type: x\r\n\r\n", "<p>x</p>", 5), (2, "http://b/", "<p>" + "long " * 200_000 + "</p>", 6)]
+    schema = "page_id long, url string, html string, record_type int"
+    out = warc.build(spark.createDataFrame(rows, schema)).collect()
+    assert len(out) == 6
+    for r in out:
+        # Read by hand: the head ends at the first empty line, each line has one name, the length is that of the body.
+        raw = warc.to_bytes(r.asDict())
+        head, _, rest = raw.partition(b"\r\n\r\n")
+        lines = head.decode().split("\r\n")
+        assert lines[0] == "WARC/1.1" and sum(x.startswith("WARC-Type: ") for x in lines) == 1
+        size = int(next(x for x in lines if x.startswith("Content-Length: ")).split(": ")[1])
+        assert rest[:size].decode() == r.content and rest[size:] == b"\r\n\r\n"
+    assert warc.build(spark.createDataFrame([], schema)).count() == 0
+    import gzip
+
+    packed = warc.archives(warc.build(spark.createDataFrame(rows[2:], schema)), 2).collect()
+    found = [x for r in packed for x in warc.from_bytes(gzip.decompress(bytes(r.archive)))]
+    assert sum(r.records for r in packed) == len(found) == 2 and {h["WARC-Type"] for h, _ in found} == {"metadata", "conversion"}
+
+
+def test_language_learns_rare_languages(spark):
+    """A language of few rows among many is learned from all of them; repeated and long rows are judged each."""
+    rng = random.Random(7)
+    stock = {"en": "the of and to in is that it was for".split(), "de": "der die und das ist nicht ein mit auf zu".split()}
+    rows = [(i, " ".join(rng.choice(stock["en"]) for _ in range(12)), "en", "s") for i in range(600)] + [(1000 + i, " ".join(rng.choice(stock["de"]) for _ in range(12)), "de", "s") for i in range(12)]
+    rows += [rows[0], (5000, "und das ist nicht " * 30_000, None, "s")]
+    out = language.identify(table(spark, rows), per_lang=100).collect()
+    got = {r.doc_id: r.lang_pred for r in out}
+    assert len(out) == len(rows) and got[5000] == "de" and all(got[1000 + i] == "de" for i in range(12))
+
+
+def test_urls_of_odd_tables(spark):
+    schema = "page_id long, url string, html string, host int"
+    rows = [(1, "http://x.spam-farm.example.net/" + "a/" * 3000, "h", 1)] * 3 + [(None, None, None, None)]
+    out = urls.judge(spark.createDataFrame(rows, schema)).collect()
+    assert sorted((r.page_id or 0, r.verdict) for r in out) == [(0, "allow"), (1, "block"), (1, "block"), (1, "block")]
+    assert urls.judge(spark.createDataFrame([], schema)).count() == 0
