@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .licences import KNOWN, SPELLINGS
+from .licences import COPYRIGHT_LINE, KNOWN, SPELLINGS, with_headings
 from .urls import LISTED, RULES
 
 _ASSIGN = r"""([pP][aA][sS][sS][wW][oO][rR][dD]|[pP][aA][sS][sS][wW][dD]|[sS][eE][cC][rR][eE][tT]|[tT][oO][kK][eE][nN]|[aA][pP][iI]_?[kK][eE][yY])["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)"""
@@ -40,13 +40,14 @@ FROM d LEFT JOIN g USING (r)"""
 
 def _licences() -> str:
     def norm(t: str) -> str:
-        t = rf"regexp_replace(lower({t}), '(?m)^[ \t*#/;-]*(?:copyright\b|\(c\)|©|all rights reserved)[^\n]*$', ' ', 'g')"
+        t = rf"regexp_replace(lower({t}), '{COPYRIGHT_LINE}', ' ', 'g')"
+        t = rf"regexp_replace({t}, '[\x20\x09-\x0D]+', ' ', 'g')"
         for a, b in SPELLINGS:
             t = f"replace({t}, '{a}', '{b}')"
         t = rf"regexp_replace({t}, '[!-/:-@\[-`{{-~“”‘’–—«»©]', ' ', 'g')"
         return rf"trim(regexp_replace({t}, '[\x20\x09-\x0D]+', ' ', 'g'))"
 
-    quoted = [(k, v.replace("'", "''")) for k, v in sorted(KNOWN.items())]
+    quoted = [(k, v.replace("'", "''")) for k, v in with_headings(KNOWN)]
     known = " UNION ALL ".join(f"SELECT '{k}' AS license_id, '{v}' AS text" for k, v in quoted)
     return f"""
 WITH k AS (SELECT sha256({norm('text')}) AS digest, min(license_id) AS license_id FROM ({known}) GROUP BY 1),

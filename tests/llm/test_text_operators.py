@@ -397,3 +397,17 @@ def test_urls_of_odd_tables(spark):
     out = urls.judge(spark.createDataFrame(rows, schema)).collect()
     assert sorted((r.page_id or 0, r.verdict) for r in out) == [(0, "allow"), (1, "block"), (1, "block"), (1, "block")]
     assert urls.judge(spark.createDataFrame([], schema)).count() == 0
+
+
+@pytest.mark.parametrize("name", [k for k in licences.KNOWN if "notice" not in k])
+def test_licence_copies_match(spark, name):
+    """Re-cased, re-wrapped and re-punctuated copies, with or without heading, with other copyright lines."""
+    body = licences.KNOWN[name].split("\n\n", 1)[1]
+    if body.lower().startswith("copyright"):
+        body = body.split("\n\n", 1)[1]
+    words = body.split()
+    wrapped = "\n".join(" * " + " ".join(words[k : k + 9]) for k in range(0, len(words), 9))
+    rows = [(1, body.upper(), "en", "a"), (2, "Copyright © 2019 A. Body\nAll rights reserved.\n\n" + wrapped, "en", "a"), (3, body.replace(",", " ,").replace('"', "\u201c"), "en", "a"), (4, body + " indeed", "en", "a"), (5, " ".join(words[:-1]), "en", "a")]
+    got = {r.doc_id: r.license_id for r in licences.scan(table(spark, rows)).collect()}
+    assert [got[i] for i in range(1, 6)] == [name, name, name, None, None]
+    assert licences.scan(table(spark, [])).count() == 0
