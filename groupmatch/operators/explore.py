@@ -18,6 +18,7 @@ from groupmatch.model import GroupPattern, MatchOptions, SocialGraph
 from groupmatch.plans.order import explain, steps
 
 from . import candidates, paths, prune
+from .store import PathStore
 
 STRATEGIES = {"plain": (False, False), "reverse": (True, False), "cached": (False, True), "combined": (True, True)}
 _LINK = ["edge_no", "v", "w", "path", "hops", "trust", "intimacy", "influence", "worst"]
@@ -86,12 +87,15 @@ def _edge(p, no):
     return next(e for e in p.edges if e.no == no)
 
 
-def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt: MatchOptions, leaders: DataFrame | None = None, count: bool = False, held: list[DataFrame] | None = None) -> tuple[dict[int, DataFrame], dict]:
+def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt: MatchOptions, leaders: DataFrame | None = None, count: bool = False, held: list[DataFrame] | None = None, store: PathStore | None = None) -> tuple[dict[int, DataFrame], dict]:
     """The edge relations by number; with `cache` without, else with the column leader. Frames that are kept
     for several reads go to `held`, for `release`; lost blocks are computed again from the tables."""
+    if store is not None and not cache:
+        raise ValueError("kept answers have no leaders: use strategy cached or combined")
     held = [] if held is None else held
-    edges = _kept(g.scored_edges(), held)
-    every = _kept(candidates.select_all(g, p), held)
+    # Written at each step: a plan that nested all steps before it would be analysed again and again.
+    edges = settle(g.scored_edges(), "edges")
+    every = settle(candidates.select_all(g, p), "candidates")
     cand = {n.name: every.where(F.col("node") == n.name).select(F.col("v").alias("at")) for n in p.nodes}
     keys = [] if cache else ["leader"]
     first = cand[p.leader] if leaders is None else cand[p.leader].join(leaders.select(F.col("leader").alias("at")), "at", "left_semi")
@@ -113,14 +117,18 @@ def match_edges(g: SocialGraph, p: GroupPattern, reverse: bool, cache: bool, opt
         if s.kind == "forward":
             known = _starts(p, s.node, found, cand, keys, first)
             starts = known if known is not None else scanned[s.node]
-            rel = paths.match_edge(starts, edges, e, cand[e.dst], opt)
+            far, way = e.dst, "out"
         else:
             known = _starts(p, e.dst, found, cand, keys, first)
             starts = known.join(cand[e.dst], "at", "left_semi")
-            rel = paths.match_edge(starts, edges, e, cand[e.src], opt, "in")
+            far, way = e.src, "in"
+        if store is not None:
+            rel = store.answer(p.name, starts, edges, e, p.node(far), cand[far], opt, way)
+        else:
+            rel = paths.match_edge(starts, edges, e, cand[far], opt, way)
         if count:
             work["requests"][e.no] = (s.kind, starts.count())
-        found[e.no] = _kept(rel, held)
+        found[e.no] = settle(rel, "relation")
     return found, work
 
 
@@ -140,7 +148,7 @@ def _with_leaders(p: GroupPattern, links: DataFrame, leaders: DataFrame, held: l
     for e, forward in p.spanning_steps():
         rel = links.where(F.col("edge_no") == e.no)
         near, far, old, new = ("v", "w", e.src, e.dst) if forward else ("w", "v", e.dst, e.src)
-        at[new] = _kept(at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct(), held)
+        at[new] = settle(at[old].join(rel.select(F.col(near).alias("x"), F.col(far).alias("y")), "x").select("leader", F.col("y").alias("x")).distinct(), "reached")
     out = []
     for e in p.edges:
         a = at[e.src].select("leader", F.col("x").alias("v"))
@@ -150,15 +158,18 @@ def _with_leaders(p: GroupPattern, links: DataFrame, leaders: DataFrame, held: l
     return _union(out)
 
 
-def match(g: SocialGraph, p: GroupPattern, strategy: str = "combined", options: MatchOptions | None = None, leaders: DataFrame | None = None, count: bool = False) -> GroupResult:
+def match(g: SocialGraph, p: GroupPattern, strategy: str = "combined", options: MatchOptions | None = None, leaders: DataFrame | None = None, count: bool = False, store: PathStore | None = None) -> GroupResult:
     """All groups of `p` in `g`: for each leader vertex the largest consistent set of matches.
 
     strategy: plain, reverse, cached, combined (same result, different work) or local (one Python
-    exploration per leader over its ball). `leaders` restricts the leader vertices."""
+    exploration per leader over its ball). `leaders` restricts the leader vertices. `store` keeps matched edges of
+    this graph between matches (cached and combined)."""
     opt = options or MatchOptions()
     if strategy == "local":
         from .local import match_local
 
+        if store is not None:
+            raise ValueError("strategy local keeps no answers")
         return match_local(g, p, opt, leaders)
     reverse, cache = STRATEGIES[strategy]
     if not p.edges:
@@ -168,13 +179,13 @@ def match(g: SocialGraph, p: GroupPattern, strategy: str = "combined", options:
         return GroupResult(p, g, empty, only.select("leader", F.lit(p.leader).alias("node"), F.col("leader").alias("v")))
     held: list[DataFrame] = []
     try:
-        return _grouped(g, p, reverse, cache, opt, leaders, count, held)
+        return _grouped(g, p, reverse, cache, opt, leaders, count, held, store)
     finally:
         release(held)
 
 
-def _grouped(g, p, reverse, cache, opt, leaders, count, held) -> GroupResult:
-    found, work = match_edges(g, p, reverse, cache, opt, leaders, count, held)
+def _grouped(g, p, reverse, cache, opt, leaders, count, held, store) -> GroupResult:
+    found, work = match_edges(g, p, reverse, cache, opt, leaders, count, held, store)
     keys = [] if cache else ["leader"]
     links = _union([rel.select(*keys, F.lit(no).alias("edge_no"), *_LINK[1:]) for no, rel in found.items()])
     if cache:

@@ -8,6 +8,7 @@ from groupmatch.functions import membership
 from groupmatch.model import MatchOptions, MembershipRule, SocialGraph
 from groupmatch.model import pattern as P
 from groupmatch.operators import baselines, explore, paths, simulate
+from groupmatch.operators.store import PathStore
 
 
 def graph(spark, labels, edges, scores=None):
@@ -118,3 +119,18 @@ def test_against_brute_force(spark):
     held = {(x.node, x.v) for x in explore.match(g, p).members().select("node", "v").distinct().collect()}
     assert held <= {(x.node, x.v) for x in simulate.dual(g, p, "constrained").collect()} <= {(x.node, x.v) for x in simulate.child(g, p, "constrained").collect()}
     assert {x.leader for x in baselines.edge_join(g, p).collect()} <= set(want)
+
+
+def test_store_expands_each_start_once(spark):
+    # 2 reaches no SD: an answer without paths, which counts as answered.
+    g = graph(spark, {1: "PM", 2: "PM", 3: "SD", 4: "ST"}, [(1, 3), (3, 4), (2, 1)])
+    p = P.pattern("chain", {x: x for x in ("PM", "SD", "ST")}, [("PM", "SD", 1), ("SD", "ST", 1)])
+    wide = P.pattern("wide", {x: x for x in ("PM", "SD", "ST")}, [("PM", "SD", 2), ("SD", "ST", 1)])
+    kept = PathStore(spark)
+    assert groups(explore.match(g, p, store=kept)) == groups(explore.match(g, p)) == {1: {"PM": {1}, "SD": {3}, "ST": {4}}}
+    assert groups(explore.match(g, wide, store=kept)) == groups(explore.match(g, wide))
+    # Requests of (edge, starts, expanded): a longer bound is another edge, the second edge is shared.
+    assert [x[1:4] for x in kept.log] == [(0, 2, 2), (1, 1, 1), (0, 2, 2), (1, 1, 0)]
+    assert sorted(r.empty for r in kept.empty_starts().collect()) == [0, 0, 1]
+    with pytest.raises(ValueError):
+        explore.match(g, p, "plain", store=kept)
