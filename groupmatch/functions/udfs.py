@@ -21,3 +21,9 @@ class ExplainGroup:
         lacking = [n for k, n in enumerate(names) if required >> k & 1 and not mask >> k & 1]
         if lacking:
             yield node, ",".join(lacking)
+
+
+def worst_of_edge(batches):
+    """For mapInPandas: each edge with the lesser of its scores."""
+    for rows in batches:
+        yield pd.DataFrame({"src": rows.src, "dst": rows.dst, "worst": rows[["trust", "intimacy"]].min(axis=1)})

@@ -86,3 +86,31 @@ def curve_table(spark, points: list[tuple[str, str, float, int]]) -> DataFrame:
     df = spark.createDataFrame(points, "strategy string, pattern string, elapsed double, groups long")
     w = Window.partitionBy("strategy", "pattern").orderBy("elapsed")
     return df.withColumn("total", F.sum("groups").over(w))
+
+
+def written_bytes(df: DataFrame) -> int:
+    """Bytes of the files of a table written by `settle`."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+def strategy_bytes(g, p, strategies) -> list[tuple[str, str, int]]:
+    """(strategy, part, bytes) that a run keeps: the adjacency, its inverse where edges are matched
+    backward, and the edge relations, all as written."""
+    from groupmatch.durable import settle
+
+    from .explore import STRATEGIES, match_edges
+    from groupmatch.model import MatchOptions
+
+    edges = written_bytes(settle(g.scored_edges(), "edges"))
+    out = []
+    for name in strategies:
+        reverse, cache = STRATEGIES[name]
+        found, _ = match_edges(g, p, reverse, cache, MatchOptions())
+        out += [(name, "adjacency", edges), (name, "inverse", edges if reverse else 0), (name, "relations", sum(map(written_bytes, found.values())))]
+    return out
+
+
+def sampled(g, share: float, seed: int = 0) -> DataFrame:
+    """A reproducible share of the vertices, by a digest of seed and id: for estimates."""
+    bucket = F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("id").cast("string"))), 1, 8), 16, 10).cast("long")
+    return g.vertices.where(bucket < F.lit(int(share * (1 << 32))))

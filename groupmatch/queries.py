@@ -261,4 +261,4 @@ def ball(spark, sf_dir):
     return locality.ball(g, leaders, 2)
 
 
-from groupmatch import more_queries  # noqa: E402, F401
+from groupmatch import more_queries, workload_queries  # noqa: E402, F401
