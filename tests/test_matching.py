@@ -134,3 +134,26 @@ def test_store_expands_each_start_once(spark):
     assert sorted(r.empty for r in kept.empty_starts().collect()) == [0, 0, 1]
     with pytest.raises(ValueError):
         explore.match(g, p, "plain", store=kept)
+
+
+TWO = P.pattern("two", {x: x for x in ("PM", "BA", "SD", "ST")}, [("PM", "SD", 2), ("BA", "SD", 3), ("SD", "ST", 2), ("PM", "ST", 3)], 0.3)
+FAR = P.pattern("far", {x: x for x in ("PM", "BA", "GD", "SD")}, [("PM", "SD", 2), ("BA", "GD", 2), ("GD", "SD", 2), ("BA", "SD", 2)], 0.2)
+
+
+def random_graph(spark, seed=11, n=30, m=130):
+    rng = random.Random(seed)
+    labels = {i: rng.choice(("PM", "BA", "SD", "ST", "GD")) for i in range(n)}
+    edges = sorted({(a, b) for a, b in ((rng.randrange(n), rng.randrange(n)) for _ in range(m)) if a != b})
+    return graph(spark, labels, edges, {e: (0.6 + 0.4 * rng.random(), 0.6 + 0.4 * rng.random()) for e in edges})
+
+
+def test_plain_makes_no_pairs_of_leaders_and_candidates(spark, monkeypatch):
+    g = random_graph(spark)
+    want = {p.name: groups(explore.match(g, p)) for p in (TWO, FAR)}
+    assert all(want.values())
+    frame = type(g.vertices)
+    monkeypatch.setattr(frame, "crossJoin", lambda *_: pytest.fail("all pairs were made"))
+    for p in (TWO, FAR):
+        assert groups(explore.match(g, p, "plain")) == want[p.name]
+    with pytest.raises(ValueError):
+        explore.match(g, TWO, "plain", MatchOptions(max_rows=3))
