@@ -157,3 +157,17 @@ def test_plain_makes_no_pairs_of_leaders_and_candidates(spark, monkeypatch):
         assert groups(explore.match(g, p, "plain")) == want[p.name]
     with pytest.raises(ValueError):
         explore.match(g, TWO, "plain", MatchOptions(max_rows=3))
+
+
+@pytest.fixture(scope="module")
+def two(spark):
+    g = random_graph(spark)
+    g = SocialGraph(*(x.coalesce(1).localCheckpoint() for x in (g.vertices, g.edges)))
+    return g, groups(explore.match(g, TWO))
+
+
+def test_per_leader_baseline_makes_no_pairs(spark, two, monkeypatch):
+    g, _ = two
+    want = sorted(map(tuple, baselines.edge_join(g, TWO).collect()))
+    monkeypatch.setattr(type(g.vertices), "crossJoin", lambda *_: pytest.fail("all pairs were made"))
+    assert sorted(map(tuple, baselines.edge_join(g, TWO, per_leader=True).collect())) == want and want
