@@ -171,3 +171,15 @@ def test_per_leader_baseline_makes_no_pairs(spark, two, monkeypatch):
     want = sorted(map(tuple, baselines.edge_join(g, TWO).collect()))
     monkeypatch.setattr(type(g.vertices), "crossJoin", lambda *_: pytest.fail("all pairs were made"))
     assert sorted(map(tuple, baselines.edge_join(g, TWO, per_leader=True).collect())) == want and want
+
+
+def no_balls(monkeypatch):
+    from groupmatch.operators import locality
+
+    monkeypatch.setattr(locality, "ball", lambda *_, **__: pytest.fail("a ball of data edges was made for each leader"))
+
+
+def test_local_explores_what_the_pattern_reaches(two, monkeypatch):
+    g, want = two
+    no_balls(monkeypatch)
+    assert groups(explore.match(g, TWO, "local")) == want
