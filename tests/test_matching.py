@@ -183,3 +183,12 @@ def test_local_explores_what_the_pattern_reaches(two, monkeypatch):
     g, want = two
     no_balls(monkeypatch)
     assert groups(explore.match(g, TWO, "local")) == want
+
+
+def test_strong_simulation_follows_links(two, monkeypatch):
+    g, want = two
+    no_balls(monkeypatch)
+    out = {}
+    for x in simulate.strong(g, TWO, "constrained").collect():
+        out.setdefault(x.leader, {}).setdefault(x.node, set()).add(x.v)
+    assert out == want
