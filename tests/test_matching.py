@@ -192,3 +192,14 @@ def test_strong_simulation_follows_links(two, monkeypatch):
     for x in simulate.strong(g, TWO, "constrained").collect():
         out.setdefault(x.leader, {}).setdefault(x.node, set()).add(x.v)
     assert out == want
+
+
+def test_touched_leaders_without_balls(spark, monkeypatch):
+    from groupmatch import streaming
+
+    # A chain; only the leaders within the pattern's diameter of an end of the changed edge are touched.
+    g = graph(spark, {i: "PM" if i % 2 else "SD" for i in range(12)}, [(i, i + 1) for i in range(11)])
+    p = P.pattern("pair", {x: x for x in ("PM", "SD")}, [("PM", "SD", 2)])
+    no_balls(monkeypatch)
+    changed = g.edges.where("src = 5")
+    assert {x.leader for x in streaming.touched_leaders(g, p, changed).collect()} == {3, 5, 7}
