@@ -36,3 +36,15 @@ def test_typed_graph_has_all_lines(spark):
         UNION SELECT {k[3]} + l_partkey, {k[2]} + l_suppkey FROM lineitem UNION SELECT {k[1]} + c_custkey, {k[4]} + c_nationkey FROM customer
         UNION SELECT {k[2]} + s_suppkey, {k[4]} + s_nationkey FROM supplier UNION SELECT {k[4]} + n_nationkey, {k[5]} + n_regionkey FROM nation""")
     assert got == want and want
+
+
+def test_broadcast_join_sends_vertices_not_edges(spark, monkeypatch):
+    from groupmatch import more_queries
+
+    sql = entry.oracle_sql()["join_broadcast"]
+    got, want = rows(spark, "join_broadcast", sql)
+    assert got == want and want
+    monkeypatch.setattr(more_queries, "_SMALL", 0)
+    got, _ = rows(spark, "join_broadcast", sql)
+    assert got == want
+    assert "strategy=broadcast" not in entry.queries()["join_broadcast"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
