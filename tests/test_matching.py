@@ -173,6 +173,13 @@ def test_per_leader_baseline_makes_no_pairs(spark, two, monkeypatch):
     assert sorted(map(tuple, baselines.edge_join(g, TWO, per_leader=True).collect())) == want and want
 
 
+def test_requests_of_plain_are_counted_without_making_them(two, monkeypatch):
+    g, _ = two
+    n = {x[0]: x[1] for x in g.vertices.groupBy(F.col("labels")[0]).count().collect()}
+    monkeypatch.setattr(type(g.vertices), "crossJoin", lambda *_: pytest.fail("all pairs were made"))
+    assert explore.match(g, TWO, "plain", count=True).work["requests"][1] == ("forward", n["PM"] * n["BA"])
+
+
 def no_balls(monkeypatch):
     from groupmatch.operators import locality
 
