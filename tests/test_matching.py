@@ -180,6 +180,17 @@ def test_requests_of_plain_are_counted_without_making_them(two, monkeypatch):
     assert explore.match(g, TWO, "plain", count=True).work["requests"][1] == ("forward", n["PM"] * n["BA"])
 
 
+def test_sizes_of_exact_groups_make_no_pairs(spark, monkeypatch):
+    import __spark_entry__ as entry
+    from groupmatch import queries
+
+    g = graph(spark, {1: "AUTOMOBILE", 2: "BUILDING", 3: "MACHINERY", 4: "HOUSEHOLD", 5: "BUILDING"}, [(1, 3), (2, 3), (5, 3), (3, 4)])
+    monkeypatch.setattr(queries, "_graph", lambda *_: g)
+    monkeypatch.setattr(type(g.vertices), "crossJoin", lambda *_: pytest.fail("all pairs were made"))
+    # PM 1, BA 2 and 5, SD 3, ST 4; PM->SD, BA->SD twice, SD->ST, PM->ST by way of 3.
+    assert [tuple(x) for x in entry.queries()["exact_sizes_p2"](spark, "").collect()] == [(1, 5.0, 5.0)]
+
+
 def no_balls(monkeypatch):
     from groupmatch.operators import locality
 
