@@ -203,6 +203,14 @@ def test_local_explores_what_the_pattern_reaches(two, monkeypatch):
     assert groups(explore.match(g, TWO, "local")) == want
 
 
+def test_local_with_one_source(two, monkeypatch):
+    g, _ = two
+    p = P.pattern("one", {x: x for x in ("PM", "BA", "SD")}, [("PM", "BA", 2), ("PM", "SD", 3), ("BA", "SD", 2)], 0.3)
+    want = groups(explore.match(g, p))
+    no_balls(monkeypatch)
+    assert groups(explore.match(g, p, "local")) == want and want
+
+
 def test_strong_simulation_follows_links(two, monkeypatch):
     g, want = two
     no_balls(monkeypatch)
