@@ -229,3 +229,13 @@ def test_touched_leaders_without_balls(spark, monkeypatch):
     no_balls(monkeypatch)
     changed = g.edges.where("src = 5")
     assert {x.leader for x in streaming.touched_leaders(g, p, changed).collect()} == {3, 5, 7}
+
+
+def test_minima_of_one_shape_are_matched_together(spark, monkeypatch):
+    from groupmatch.operators import sweep
+
+    # 1-2 passes both minima, 3-4 the lower one only.
+    g = graph(spark, {1: "PM", 2: "SD", 3: "PM", 4: "SD"}, [(1, 2), (3, 4)], {(1, 2): (0.9, 0.9), (3, 4): (0.4, 0.9)})
+    shape = lambda m: P.pattern("pair", {"PM": "PM", "SD": "SD"}, [("PM", "SD", 1)], m)
+    got = sweep.members(g, {"low": shape(0.3), "high": shape(0.8)}).where("node = 'PM'").select("setting", "v").collect()
+    assert sorted(map(tuple, got)) == [("high", 1), ("low", 1), ("low", 3)]
