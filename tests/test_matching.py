@@ -239,3 +239,31 @@ def test_minima_of_one_shape_are_matched_together(spark, monkeypatch):
     shape = lambda m: P.pattern("pair", {"PM": "PM", "SD": "SD"}, [("PM", "SD", 1)], m)
     got = sweep.members(g, {"low": shape(0.3), "high": shape(0.8)}).where("node = 'PM'").select("setting", "v").collect()
     assert sorted(map(tuple, got)) == [("high", 1), ("low", 1), ("low", 3)]
+
+
+def test_requests_are_counted_without_making_groups(two, monkeypatch):
+    from groupmatch.operators import prune
+
+    g, _ = two
+    want = {name: explore.match(g, TWO, name, count=True).work["requests"] for name in ("plain", "combined")}
+    monkeypatch.setattr(prune, "cascade", lambda *_, **__: pytest.fail("groups were made"))
+    assert explore.requests(g, TWO, ("plain", "combined")) == want and all(map(len, want.values()))
+
+
+def test_edges_below_every_minimum_are_left_out_early(spark):
+    from groupmatch.operators import paths
+
+    g = graph(spark, {1: "PM", 2: "SD", 3: "SD", 4: "GD"}, [(1, 2), (1, 3), (1, 4)], {(1, 2): (0.9, 0.9), (1, 3): (0.2, 0.9), (1, 4): (0.9, 0.9)})
+    ends = lambda p, opt=MatchOptions(): sorted(x.dst for x in paths.useful_edges(g, p, opt).collect())
+    pair = lambda hops, m: P.pattern("pair", {"PM": "PM", "SD": "SD"}, [("PM", "SD", hops)], m)
+    assert ends(pair(2, 0.5)) == [2, 4] and ends(pair(1, 0.5)) == [2]
+    # Without minima, or where a path is chosen before it is tested, every score counts.
+    assert ends(pair(2, None)) == [2, 3, 4] and ends(pair(2, 0.5), MatchOptions(choose_first=True)) == [2, 3, 4]
+
+
+def test_local_hands_arrow_to_each_leader(two, monkeypatch):
+    from pyspark.sql.pandas.group_ops import PandasCogroupedOps
+
+    g, want = two
+    monkeypatch.setattr(PandasCogroupedOps, "applyInPandas", lambda *_: pytest.fail("pandas frames were made for each leader"))
+    assert groups(explore.match(g, TWO, "local")) == want
