@@ -267,3 +267,15 @@ def test_local_hands_arrow_to_each_leader(two, monkeypatch):
     g, want = two
     monkeypatch.setattr(PandasCogroupedOps, "applyInPandas", lambda *_: pytest.fail("pandas frames were made for each leader"))
     assert groups(explore.match(g, TWO, "local")) == want
+
+
+def test_members_need_no_paths(two, monkeypatch):
+    from groupmatch.operators import paths
+
+    g, want = two
+    free = TWO.with_minimum(None)
+    every = groups(explore.match(g, free))
+    monkeypatch.setattr(paths, "best", lambda *_: pytest.fail("paths were chosen"))
+    assert groups(explore.match(g, TWO, ends_only=True)) == want
+    monkeypatch.setattr(paths, "expand", lambda *_: pytest.fail("paths were made"))
+    assert groups(explore.match(g, free, ends_only=True)) == every and every
