@@ -48,3 +48,13 @@ def test_broadcast_join_sends_vertices_not_edges(spark, monkeypatch):
     got, _ = rows(spark, "join_broadcast", sql)
     assert got == want
     assert "strategy=broadcast" not in entry.queries()["join_broadcast"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_broadcast_join_sends_pieces_of_a_larger_table(spark, monkeypatch):
+    import __spark_entry__ as entry
+    from groupmatch import more_queries
+
+    monkeypatch.setattr(more_queries, "_SMALL", 60)  # fewer than the vertices
+    got, want = rows(spark, "join_broadcast", entry.oracle_sql()["join_broadcast"])
+    assert got == want
+    assert "strategy=broadcast" in entry.queries()["join_broadcast"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
