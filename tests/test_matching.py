@@ -279,3 +279,18 @@ def test_members_need_no_paths(two, monkeypatch):
     assert groups(explore.match(g, TWO, ends_only=True)) == want
     monkeypatch.setattr(paths, "expand", lambda *_: pytest.fail("paths were made"))
     assert groups(explore.match(g, free, ends_only=True)) == every and every
+
+
+def test_trees_need_no_rounds_by_leader(spark, monkeypatch):
+    from groupmatch.operators import prune
+
+    # A leads; C and E hang on B, D on C, X on A. 3 lacks an E and 9 an X.
+    labels = {1: "A", 11: "A", 2: "B", 3: "B", 4: "C", 5: "C", 6: "E", 8: "D", 9: "A", 10: "X"}
+    g = graph(spark, labels, [(1, 2), (1, 3), (11, 3), (9, 2), (2, 4), (3, 5), (2, 6), (4, 8), (5, 8), (10, 1), (10, 11)])
+    p = P.pattern("tree", {x: x for x in "ABCEDX"}, [("A", "B", 1), ("B", "C", 1), ("B", "E", 1), ("C", "D", 1), ("X", "B", 2)], None)
+    want = groups(explore.match(g, p, "plain"))
+    rounds = prune.cascade
+    monkeypatch.setattr(prune, "cascade", lambda links, p, keys, *a, **b: pytest.fail("rounds by leader") if keys else rounds(links, p, keys, *a, **b))
+    r = explore.match(g, p)
+    assert groups(r) == want == {1: {"A": {1}, "B": {2}, "C": {4}, "E": {6}, "D": {8}, "X": {10}}, 9: {"A": {9}, "B": {2}, "C": {4}, "E": {6}, "D": {8}, "X": {10}}}
+    assert sorted((x.leader, x.edge_no, x.v, x.w) for x in r.links().collect() if x.leader == 1) == [(1, 0, 1, 2), (1, 1, 2, 4), (1, 2, 2, 6), (1, 3, 4, 8), (1, 4, 10, 2)]
