@@ -281,6 +281,28 @@ def test_members_need_no_paths(two, monkeypatch):
     assert groups(explore.match(g, free, ends_only=True)) == every and every
 
 
+@pytest.mark.parametrize("seed", [1, 2])
+def test_influence_needs_two_ways_to_each_vertex(spark, monkeypatch, seed):
+    from groupmatch.operators import paths
+
+    rng = random.Random(seed)
+    score = {i: None if i == 3 else round(rng.random(), 2) for i in range(12)}
+    v = spark.createDataFrame([(i, ["A" if i % 3 else "B"], x) for i, x in score.items()], "id long, labels array<string>, influence double")
+    edges = sorted({(rng.randrange(12), rng.randrange(12)) for _ in range(30)})
+    g = SocialGraph(v, spark.createDataFrame([(a, b, 0.1, 0.1) for a, b in edges], "src long, dst long, trust double, intimacy double"))
+    at = lambda x: v.where(F.array_contains("labels", x)).select(F.col("id").alias("at"))
+    ready, opt = g.scored_edges().coalesce(1).localCheckpoint(), MatchOptions()
+    for hops in (1, 2, 3):
+        p = P.pattern("pair", {"A": "A", "B": "B"}, [("A", "B", hops)], 0.6).only("influence")
+        e = p.edges[0]
+        want = sorted(map(tuple, paths.match_edge(at("A"), ready, e, at("B"), opt).select("v", "w").collect()))
+        with monkeypatch.context() as m:
+            m.setattr(paths, "expand", lambda *_, **__: pytest.fail("paths were made"))
+            for way, ends in (("out", ("A", "B")), ("in", ("B", "A"))):
+                assert sorted(map(tuple, paths.reach(at(ends[0]), ready, e, at(ends[1]), opt, way).collect())) == want, (hops, way)
+    assert want
+
+
 def test_trees_need_no_rounds_by_leader(spark, monkeypatch):
     from groupmatch.operators import prune
 
