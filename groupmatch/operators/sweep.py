@@ -31,7 +31,7 @@ def members(g: SocialGraph, patterns: dict[str, GroupPattern]) -> DataFrame:
     if len({tuple((e.no, e.src, e.dst, e.max_hops) for e in q.edges) + tuple((n.name, n.labels) for n in q.nodes) + (q.leader,) for q in patterns.values()}) > 1:
         raise ValueError("a sweep takes patterns of one shape")
     opt = MatchOptions()
-    found, _ = explore.match_edges(g, p, True, True, opt)
+    found, _ = explore.match_edges(g, p, True, True, opt, worst_only=True)
     v = settle(g.vertices.select("id", "influence"), "influence")
     rows = explore._union([rel.select(F.lit(no).alias("edge_no"), "v", "w", "worst") for no, rel in found.items()])
     for c in ("v", "w"):
@@ -40,8 +40,4 @@ def members(g: SocialGraph, patterns: dict[str, GroupPattern]) -> DataFrame:
     fits = F.array_compact(F.array(*(F.when(level >= F.lit(low), F.lit(k)) for k, low in floors.items())))
     links = rows.select(F.explode(fits).alias("setting"), "edge_no", "v", "w")
     links, _ = prune.cascade(links, p, ["setting"], least_share=opt.global_share)
-    own = [e.no for e in p.out_edges(p.leader)]
-    heads = links.where(F.col("edge_no").isin(own)).select("setting", F.col("v").alias("leader")).distinct()
-    links = explore._with_leaders(p, links, heads, ["setting"])
-    links, _ = prune.cascade(links.where(~F.col("edge_no").isin(own) | (F.col("v") == F.col("leader"))), p, ["setting", "leader"])
-    return prune.members(links, p, ["setting", "leader"])
+    return explore.by_leader(p, links, ["setting"])[1]

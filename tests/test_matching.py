@@ -316,3 +316,13 @@ def test_trees_need_no_rounds_by_leader(spark, monkeypatch):
     r = explore.match(g, p)
     assert groups(r) == want == {1: {"A": {1}, "B": {2}, "C": {4}, "E": {6}, "D": {8}, "X": {10}}, 9: {"A": {9}, "B": {2}, "C": {4}, "E": {6}, "D": {8}, "X": {10}}}
     assert sorted((x.leader, x.edge_no, x.v, x.w) for x in r.links().collect() if x.leader == 1) == [(1, 0, 1, 2), (1, 1, 2, 4), (1, 2, 2, 6), (1, 3, 4, 8), (1, 4, 10, 2)]
+
+
+def test_minima_together_keep_no_paths(spark, monkeypatch):
+    from groupmatch.operators import paths, sweep
+
+    g = graph(spark, {1: "PM", 2: "SD", 3: "PM", 4: "SD"}, [(1, 2), (3, 4)], {(1, 2): (0.9, 0.9), (3, 4): (0.4, 0.9)})
+    shape = lambda m: P.pattern("pair", {"PM": "PM", "SD": "SD"}, [("PM", "SD", 2)], m)
+    monkeypatch.setattr(paths, "best", lambda *_: pytest.fail("paths were chosen"))
+    got = sweep.members(g, {"low": shape(0.3), "high": shape(0.8)}).select("setting", "leader", "node", "v").collect()
+    assert sorted(map(tuple, got)) == [("high", 1, "PM", 1), ("high", 1, "SD", 2), ("low", 1, "PM", 1), ("low", 1, "SD", 2), ("low", 3, "PM", 3), ("low", 3, "SD", 4)]
